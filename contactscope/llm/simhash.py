@@ -26,7 +26,7 @@ from pyspark.sql import functions as F
 from contactscope.llm.common import pieces, stored
 from contactscope.llm.components import stars
 
-SLICE = 120_000
+SLICE = 16_384
 
 
 def simhash(text: bytes | None, shingle: int = 4, seed: int = 42) -> int:
@@ -205,7 +205,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, seed: int = 42, budget: i
     """doc_id, fingerprint (16 hex digits), component_id (smallest doc_id reachable over links)."""
     made = stored(fingerprints(docs, shingle, seed), "simhash")
     prints = stored(made.groupBy("fp").agg(F.min("doc_id").alias("least")), "prints")
-    star = stars(links(prints.select("fp"), budget))
+    star = stars(stored(links(prints.select("fp"), budget), "links"))
     member = star.select(F.col("u").alias("fp"), F.col("v").alias("root")).unionByName(star.select(F.col("v").alias("fp"), F.col("v").alias("root")).distinct())
     rooted = prints.join(member, "fp")
     least = rooted.groupBy("root").agg(F.min("least").alias("component"))
