@@ -32,7 +32,7 @@ def stored(df: DataFrame, name: str) -> DataFrame:
     """Write df as Parquet to the shared folder and read it back: lineage is cut and lost executors cost no rework."""
     spark = df.sparkSession
     path = f"{work_dir(spark).rstrip('/')}/llm/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
@@ -40,13 +40,16 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def bounded(df: DataFrame, most: int = MAX_BROADCAST_IDS) -> DataFrame:
+    """df, a written table of narrow rows, to be broadcast if it has at most `most` rows; beyond, joins shuffle it."""
+    return F.broadcast(df) if df.count() <= most else df
+
+
 def without_ids(docs: DataFrame, dropped: DataFrame, key: str = "doc_id") -> DataFrame:
     """Rows of docs whose key isn't in dropped (one column, the same name). The list is broadcast only after its
     length was counted and found small; otherwise it is a shuffled anti join. Rows with a null key stay."""
     dropped = stored(dropped.select(key).where(F.col(key).isNotNull()).distinct(), "dropped")
-    if dropped.count() <= MAX_BROADCAST_IDS:
-        dropped = F.broadcast(dropped)
-    return docs.join(dropped, key, "left_anti").select(*docs.columns)
+    return docs.join(bounded(dropped), key, "left_anti").select(*docs.columns)
 
 
 def pieces(data: bytes, size: int = 1 << 20, blanks: bytes = b" \n\t\r\x0b\x0c") -> Iterator[bytes]:
