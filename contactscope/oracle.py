@@ -376,6 +376,23 @@ runs AS (SELECT a, b, min(k) AS first_slot, count(*) AS slots FROM (SELECT *, k
 O["companions"] = with_(VENUE, COMPANIONS) + "SELECT * FROM runs"
 O["companion_groups"] = with_(VENUE, COMPANIONS, "link AS (SELECT a, b FROM runs UNION SELECT b, a FROM runs), reach AS (SELECT a AS track_id, a AS seen FROM link UNION SELECT r.track_id, l.b FROM reach r JOIN link l ON r.seen = l.a)") + "SELECT track_id, min(seen) AS group_id FROM reach GROUP BY track_id"
 
+O["udf_xz_code"] = with_(VENUE, segmented("venue", period=DAY_BREAK, where="owner_id % 10 = 0"), rolled("seg", "box"), _XZ) + "SELECT track_id, seg_no, max(code) AS xz FROM descent GROUP BY track_id, seg_no"
+O["udf_track_rate"] = O["track_rate"]
+O["sql_functions"] = with_(VENUE) + """
+SELECT CAST(floor(t_us / 86400000000e0) AS BIGINT) AS bin, CAST(list_sum([(((ix >> b) & 1) + 2 * ((iy >> b) & 1)) * CAST(power(4, b) AS BIGINT) FOR b IN range(3)]) AS BIGINT) AS cell, count(*) AS n, round(sum(0.5e0 * exp(-((x - floor(x)) / 50e0)) + 0.5e0), 6) AS cor
+FROM (SELECT *, CAST(floor((x + 1024) / 512) AS BIGINT) AS ix, CAST(floor((y + 1024) / 512) AS BIGINT) AS iy FROM venue) GROUP BY 1, 2"""
+_W = "SELECT track_id, (t_us // 3600000000) * 3600000000 AS start_us, count(*) AS fixes FROM venue GROUP BY 1, 2"
+O["stream_windows"] = with_(VENUE) + _W
+O["stream_sliding"] = with_(VENUE) + "SELECT track_id, start_us, count(*) AS fixes FROM (SELECT track_id, (t_us // 1800000000 - j) * 1800000000 AS start_us FROM venue, range(2) r(j) WHERE owner_id < 20) GROUP BY 1, 2"
+O["stream_sessions"] = with_(VENUE) + """
+SELECT track_id, min(t_us) AS start_us, count(*) AS fixes FROM (
+  SELECT *, sum(CASE WHEN t_us - pt >= 1800000000 THEN 1 ELSE 0 END) OVER (PARTITION BY track_id ORDER BY t_us, fix_id ROWS UNBOUNDED PRECEDING) AS s
+  FROM (SELECT *, lag(t_us) OVER (PARTITION BY track_id ORDER BY t_us, fix_id) AS pt FROM venue)) GROUP BY track_id, s"""
+O["stream_distinct"] = with_(VENUE) + "SELECT DISTINCT track_id, fix_id FROM venue"
+O["stream_contacts"] = O["op_merge_contact"]
+O["stream_live_contacts"] = O["op_broadcast_contact"]
+O["stream_segments"] = O["segment_gap"]
+
 
 def oracle_sql() -> dict[str, str]:
     return dict(O)

@@ -7,14 +7,15 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from contactscope.functions import codes, geo
+from contactscope.functions import codes, geo, udfs
 from contactscope.operators import candidates as cand
 from contactscope.operators import compare, exposure, leafindex, preprocess, prune, segment, store
 from contactscope.plans import experiments, query
 from contactscope.schema import US, Extent, Params
 from contactscope.sources import tracks
 from contactscope.sources.readers import micros, read_table
-from contactscope.workspace import stored
+from contactscope.streaming import live
+from contactscope.workspace import new_path, stored
 
 P = Params()
 PU = Params(theta=0.02)
@@ -153,6 +154,26 @@ def fn_xz_code(spark, sf):
     return s.select("track_id", "seg_no", code.alias("xz"), codes.period_xz(codes.period_bin(F.col("st_us")), code).alias("key"))
 
 
+@registered
+def udf_xz_code(spark, sf):
+    s = _rolled(segment.segment_fixes(tracks.case_fixes(spark, sf), period=("day", 1)))
+    return s.select("track_id", "seg_no", udfs.xz_code_py(Extent(), 12)("x0", "y0", "x1", "y1").alias("xz"))
+
+
+@registered
+def udf_track_rate(spark, sf):
+    r = _rates(spark, sf).groupBy("case_id", "track_id").agg(udfs.track_rate_agg()("weight", "seg_rate").alias("rate"))
+    return _r(r, "rate")
+
+
+@registered
+def sql_functions(spark, sf):
+    """The measure in SQL: correlation and cell functions over a view."""
+    udfs.register_sql_functions(spark)
+    tracks.venue_fixes(spark, sf).createOrReplaceTempView("_venue")
+    return spark.sql("SELECT day_bin(t_us) AS bin, leaf_cell(x, y, 3) AS cell, count(*) AS n, round(sum(pair_correlation(x - floor(x), 0D, 0.5D, 50D, 120D)), 6) AS cor FROM _venue GROUP BY ALL")
+
+
 @registered
 def fn_row_key(spark, sf):
     s = _rolled(segment.segment_fixes(tracks.case_fixes(spark, sf), period=("day", 1)))
@@ -702,5 +723,54 @@ def companion_groups(spark, sf):
     return compare.companion_groups(compare.companions(tracks.venue_fixes(spark, sf)), 2)
 
 
+def _live_fixes(spark, sf) -> DataFrame:
+    """The events as a stream of files, several micro-batches in order of time."""
+    path = new_path(spark, "events")
+    e = read_table(spark, sf, "events")
+    for part in range(3):
+        e.where(F.ceil((F.dayofmonth("ts") + 0.0) / 11).cast("int") - 1 == part).coalesce(1).write.mode("append").parquet(path)
+    return tracks.visits_of(live.read_stream(spark, path, e.schema))
+
+
+@registered
+def stream_windows(spark, sf):
+    return live.run_available(live.window_counts(_live_fixes(spark, sf), 3600, None, 3600), "complete")
+
+
+@registered
+def stream_sliding(spark, sf):
+    return live.run_available(live.window_counts(_live_fixes(spark, sf).where("owner_id < 20"), 3600, 1800, 3600), "complete")
+
+
+@registered
+def stream_sessions(spark, sf):
+    return live.run_available(live.sessions(_live_fixes(spark, sf), 1800, 3600), "complete")
+
+
+@registered
+def stream_distinct(spark, sf):
+    fixes = _live_fixes(spark, sf)
+    return live.run_available(live.without_repeats(fixes.unionByName(fixes).select("track_id", "fix_id", "t_us"), 40 * 86_400).select("track_id", "fix_id"))
+
+
+@registered
+def stream_contacts(spark, sf):
+    found = live.run_available(live.contacts_with_cases(_live_fixes(spark, sf), tracks.case_fixes(spark, sf), P))
+    return found.groupBy("case_id", "track_id").agg(F.count("*").alias("n"))
+
+
+@registered
+def stream_live_contacts(spark, sf):
+    fixes = _live_fixes(spark, sf)
+    found = live.run_available(live.live_contacts(fixes, fixes.where("owner_id = 10"), P, 40 * 86_400))
+    return found.groupBy("case_id", "track_id").agg(F.count("*").alias("n"))
+
+
+@registered
+def stream_segments(spark, sf):
+    found = live.run_available(live.live_segments(_live_fixes(spark, sf)))
+    return found.groupBy("track_id", "seg_no").agg(F.count("*").alias("n"), F.min("fix_id").alias("low"), F.max("fix_id").alias("high"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return dict(REGISTRY)

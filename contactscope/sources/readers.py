@@ -9,6 +9,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from contactscope.functions.udfs import register_sql_functions
 from contactscope.schema import FIX
 
 _L, _I, _D, _S, _TS = T.LongType(), T.IntegerType(), T.DoubleType(), T.StringType(), T.TimestampNTZType()
@@ -66,7 +67,5 @@ def read_fixes(spark: SparkSession, path: str, fmt: str = "parquet") -> DataFram
 
 def register_store(store: DataFrame, name: str = "segments") -> None:
     """The store as a view, and the SQL functions that Catalyst inlines."""
-    spark = store.sparkSession
     store.createOrReplaceTempView(name)
-    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION pair_correlation(d DOUBLE, dt DOUBLE, lam DOUBLE, theta_d DOUBLE, theta_t DOUBLE) RETURNS DOUBLE RETURN lam * exp(-(d / theta_d)) + (1 - lam) * exp(-(dt / theta_t))")
-    spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION day_bin(t_us BIGINT) RETURNS BIGINT RETURN CAST((t_us - pmod(t_us, 86400000000)) / 86400000000 AS BIGINT)")
+    register_sql_functions(store.sparkSession)

@@ -12,7 +12,11 @@ DAY_US = 86_400_000_000
 
 def venue_fixes(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every event is a short visit of its user to one of 25 venues; a track is a user's day."""
-    e = read_table(spark, sf_dir, "events")
+    return visits_of(read_table(spark, sf_dir, "events"))
+
+
+def visits_of(e: DataFrame) -> DataFrame:
+    """The fixes of an events table, batch or streaming."""
     v = F.get_json_object("props", "$.k").cast("int") % 25
     visits = e.select("event_id", "user_id", micros(F.col("ts")).alias("t0"), v.alias("v"), F.explode(F.sequence(F.lit(0), (3 + F.col("event_id") % 31).cast("int"))).alias("i"))
     day = ((F.col("t0") - F.pmod("t0", F.lit(DAY_US))) / F.lit(DAY_US)).cast("long") - 19723
