@@ -210,5 +210,6 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, seed: int = 42, budget: i
     rooted = prints.join(member, "fp")
     least = rooted.groupBy("root").agg(F.min("least").alias("component"))
     linked = rooted.join(least, "root").select("fp", "component")
-    owner = prints.join(linked, "fp", "left").select("fp", F.coalesce("component", "least").alias("component_id"))
+    # written, so that the last join shuffles both sides by itself and a hot fingerprint's rows can be split
+    owner = stored(prints.join(linked, "fp", "left").select("fp", F.coalesce("component", "least").alias("component_id")), "owner")
     return made.join(owner, "fp", "left").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
