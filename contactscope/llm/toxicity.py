@@ -75,7 +75,7 @@ class Model:
         return 1.0 / (1.0 + np.exp(-np.clip(self.bias + sum(found.values()), -40, 40)))
 
 
-def train(positive: list[np.ndarray], unlabelled: list[np.ndarray], prior: float, steps: int = 300, rate: float = 0.08, decay: float = 4e-4, support: int = 4, evidence: float = 4.0) -> Model:
+def train(positive: list[np.ndarray], unlabelled: list[np.ndarray], prior: float, steps: int = 600, rate: float = 0.08, decay: float = 1e-4, support: int = 4, evidence: float = 4.0) -> Model:
     """nnPU with Adam on all samples at once. Features are those in at least `support` positives whose
     share there exceeds that among the unlabelled by `evidence` standard errors; the rest says nothing of toxicity."""
     if not positive:
