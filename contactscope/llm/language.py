@@ -13,8 +13,10 @@ repeated rows are judged one by one; further columns are not read.
 
 from __future__ import annotations
 
+import hashlib
 import re
 from collections.abc import Iterator
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -23,10 +25,12 @@ from pyspark.sql import functions as F
 
 from contactscope.llm.common import pieces
 
-WORD = re.compile(rb"[a-z\x80-\xff]+")
-LETTER = re.compile(r"[^\W\d_]")
 SEGMENT = 24
-CACHE_WORDS = 200_000
+WORD = re.compile(rb"[a-z\x80-\xff]{1,%d}" % SEGMENT)
+PLAIN_LETTER = re.compile(rb"[A-Za-z]")
+LETTER = re.compile(r"[^\W\d_]")
+CACHE_WORDS = 400_000
+FLUSH_WORDS = 200_000
 UNKNOWN = "und"
 
 
@@ -38,10 +42,11 @@ def held_out():
 def segments(text: bytes) -> Iterator[list[bytes]]:
     """Segments of a text, in lists of bounded size."""
     for piece in pieces(text.lower()):
-        words = WORD.findall(piece)
-        if piece and max(map(len, words), default=0) > SEGMENT:
-            words = [w[i : i + SEGMENT] for w in words for i in range(0, len(w), SEGMENT)]
-        yield words
+        yield WORD.findall(piece)
+
+
+def has_letter(text: bytes) -> bool:
+    return bool(PLAIN_LETTER.search(text) or LETTER.search(text.decode("utf-8", "replace")))
 
 
 def _batch(words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
@@ -70,6 +75,10 @@ class Network:
         self.p["V"] = f(2 * hidden, len(languages), scale=hidden**-0.5)
         self.p["b"] = np.zeros(len(languages), np.float32)
 
+    def key(self) -> str:
+        """Digest of the parameters."""
+        return hashlib.sha256(b"".join(self.p[k].tobytes() for k in sorted(self.p))).hexdigest()
+
     def _layer(self, d: str, rows: np.ndarray, mask: np.ndarray, keep: bool):
         """States by step; for training also what the backward pass needs."""
         n, width, H = len(rows), rows.shape[1], self.h
@@ -98,22 +107,53 @@ class Network:
         prob /= prob.sum(axis=2, keepdims=True)
         return prob, mask, both, tf, tb
 
+    def _states(self, d: str, rows: np.ndarray) -> np.ndarray:
+        """States by step of segments of one length: no padding, no tape, in-place arithmetic."""
+        n, width, H = len(rows), rows.shape[1], self.h
+        W, U, C = self.p[d + "W"], self.p[d + "U"], self.p[d + "C"]
+        out = np.empty((width, n, H), np.float32)
+        h = np.zeros((n, H), np.float32)
+        for t in range(width) if d == "f" else range(width - 1, -1, -1):
+            x = W[rows[:, t]]
+            gates = h @ U
+            gates += x[:, : 2 * H]
+            np.negative(gates, gates)
+            np.exp(gates, gates)
+            gates += 1
+            np.reciprocal(gates, gates)
+            c = (gates[:, H:] * h) @ C
+            c += x[:, 2 * H :]
+            np.tanh(c, c)
+            c -= h
+            c *= gates[:, :H]
+            h = np.add(h, c, out=out[t])
+        return out
+
+    def _distributions(self, rows: np.ndarray) -> np.ndarray:
+        """Label distributions (step, segment, language) of segments of one length, ends included."""
+        V, H = self.p["V"], self.h
+        logits = self._states("f", rows) @ V[:H]
+        logits += self._states("b", rows) @ V[H:]
+        logits += self.p["b"]
+        logits -= logits.max(axis=2, keepdims=True)
+        np.exp(logits, logits)
+        logits /= logits.sum(axis=2, keepdims=True)
+        return logits
+
     def positions(self, word: bytes) -> np.ndarray:
         """The label distribution of every byte of a segment."""
-        rows, lengths = _batch([word])
-        return self._label(rows, lengths)[0][1:-1, 0]
+        return self._distributions(_batch([word])[0])[1:-1, 0]
 
     def pooled(self, words: list[bytes]) -> np.ndarray:
         """Per segment the sum of its position distributions, ends excluded, and the number of positions last."""
         out = np.zeros((len(words), len(self.languages) + 1), np.float32)
-        order = np.argsort(np.fromiter(map(len, words), np.int64, len(words)), kind="stable")
-        for at in range(0, len(words), 2048):
-            pick = order[at : at + 2048]
-            rows, lengths = _batch([words[i] for i in pick])
-            prob = self._label(rows, lengths)[0]
-            inner = ((np.arange(rows.shape[1]) > 0) & (np.arange(rows.shape[1]) < lengths[:, None] - 1)).astype(np.float32)
-            out[pick, :-1] = np.einsum("tnl,nt->nl", prob, inner)
-            out[pick, -1] = lengths - 2
+        sizes = np.fromiter(map(len, words), np.int64, len(words))
+        for size in np.unique(sizes):
+            same = np.flatnonzero(sizes == size)
+            for at in range(0, len(same), 1024):
+                pick = same[at : at + 1024]
+                out[pick, :-1] = self._distributions(_batch([words[i] for i in pick])[0])[1:-1].sum(axis=0)
+        out[:, -1] = sizes
         return out
 
     def gradients(self, words: list[bytes], target: np.ndarray) -> tuple[float, dict[str, np.ndarray]]:
@@ -171,63 +211,65 @@ class Network:
 
 
 class Reader:
-    """Documents to language and score, with a cache of segment sums that is emptied when full."""
+    """Documents to language and score. Sums of the first CACHE_WORDS distinct segments are kept, rarer ones computed anew."""
 
     def __init__(self, network: Network | None):
-        self.net, self.ids, self.sums = network, {}, None
+        self.net, self.ids = network, {}
+        width = 1 + (len(network.languages) if network else 0)
+        self.sums = np.zeros((0, width), np.float32)
 
     def read(self, texts: list[bytes | None]) -> list[tuple[str, float]]:
         net = self.net
         if net is None or not net.languages:
             return [(UNKNOWN, 0.0)] * len(texts)
-        out = []
-        for text in texts:
-            if not text or not LETTER.search(text.decode("utf-8", "replace")):
-                out.append((UNKNOWN, 0.0))
-                continue
-            total = np.zeros(len(net.languages) + 1)
-            for words in segments(text):
+        totals = np.zeros((len(texts), len(net.languages) + 1))
+        known = [bool(t) and has_letter(t) for t in texts]
+        held: list[tuple[int, list[bytes]]] = []
+        size = 0
+        for i, text in enumerate(texts):
+            for words in segments(text) if known[i] else ():
                 if words:
-                    total += self._sums(words)
-            best = int(np.argmax(total[:-1]))
-            out.append((net.languages[best], float(min(1.0, total[best] / max(total[-1], 1)))))
-        return out
-
-    def _sums(self, words: list[bytes]) -> np.ndarray:
-        ids = self.ids
-        new = [w for w in dict.fromkeys(words) if w not in ids]
-        if new:
-            if len(ids) + len(new) > CACHE_WORDS:
-                ids.clear()
-                new = list(dict.fromkeys(words))
-            self._learn(new)
-        at = np.fromiter(map(ids.__getitem__, words), np.int64, len(words))
-        return self.sums[at].sum(axis=0, dtype=np.float64)
-
-    def _learn(self, words: list[bytes]) -> None:
-        first, need = len(self.ids), len(self.ids) + len(words)
-        if self.sums is None or len(self.sums) < need:
-            grown = np.zeros((max(need, 2 * first, 50_000), len(self.net.languages) + 1), np.float32)
-            if first:
-                grown[:first] = self.sums[:first]
-            self.sums = grown
-        self.sums[first:need] = self.net.pooled(words)
-        self.ids.update(zip(words, range(first, need), strict=True))
-
-    def prepare(self, texts: list[bytes | None]) -> None:
-        """Learn the new segments of many texts in one go: larger matrices for the same sums."""
-        if self.net is None or not self.net.languages:
+                    held.append((i, words))
+                    size += len(words)
+                if size >= FLUSH_WORDS:
+                    self._add(totals, held)
+                    held, size = [], 0
+        self._add(totals, held)
+        best = totals[:, :-1].argmax(axis=1)
+        share = np.minimum(1.0, totals[np.arange(len(texts)), best] / np.maximum(totals[:, -1], 1))
+        return [(net.languages[b], float(s)) if ok else (UNKNOWN, 0.0) for b, s, ok in zip(best, share, known, strict=True)]
+
+    def _add(self, totals: np.ndarray, held: list[tuple[int, list[bytes]]]) -> None:
+        if not held:
             return
-        fresh: set[bytes] = set()
-        for text in texts:
-            for words in segments(text) if text else ():
-                fresh.update(words)
-        fresh.difference_update(self.ids.keys())
-        if len(self.ids) + len(fresh) > CACHE_WORDS:
-            self.ids.clear()  # what is missing then is computed when it is read
-        fresh_words = sorted(fresh)[:CACHE_WORDS]
-        if fresh_words:
-            self._learn(fresh_words)
+        flat = [w for _, words in held for w in words]
+        at = np.fromiter(map(self.ids.get, flat, repeat(-1)), np.int64, len(flat))
+        missing = np.flatnonzero(at < 0)
+        sums = self.sums[at] if len(self.sums) else np.zeros((len(flat), totals.shape[1]), np.float32)
+        if len(missing):
+            names = [flat[i] for i in missing]
+            fresh = sorted(set(names))
+            made = self.net.pooled(fresh)
+            place = dict(zip(fresh, range(len(fresh)), strict=True))
+            sums[missing] = made[np.fromiter(map(place.__getitem__, names), np.int64, len(names))]
+            room = CACHE_WORDS - len(self.ids)
+            if room > 0:
+                self.ids.update(zip(fresh[:room], range(len(self.ids), len(self.ids) + min(room, len(fresh))), strict=True))
+                self.sums = np.concatenate((self.sums, made[:room]))
+        counts = [len(words) for _, words in held]
+        starts = np.concatenate(([0], np.cumsum(counts)[:-1]))
+        np.add.at(totals, [i for i, _ in held], np.add.reduceat(sums, starts, axis=0, dtype=np.float64))
+
+
+#: The last network's reader of this worker process, so that a cache outlives a task.
+_last: list = [None, None]
+
+
+def reader_of(net: Network | None) -> Reader:
+    key = None if net is None else net.key()
+    if _last[1] is None or _last[0] != key:
+        _last[:] = [key, Reader(net)]
+    return _last[1]
 
 
 def fit(docs: DataFrame, per_language: int = 300, max_languages: int = 256, words_per_doc: int = 40, hidden: int = 16) -> Network | None:
@@ -270,12 +312,11 @@ def _labelled(docs: DataFrame, net: Network | None, schema, finish) -> DataFrame
     held = docs.sparkSession.sparkContext.broadcast(net)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        reader = Reader(held.value)
+        reader = reader_of(held.value)
         for b in batches:
             found = []
             for at in range(0, len(b), 1000):
                 texts = b.column("text").slice(at, 1000).cast(pa.binary()).to_pylist()
-                reader.prepare(texts)
                 found += reader.read(texts)
             yield finish(b, found)
 

@@ -263,13 +263,25 @@ def test_language_of_awkward_rows(spark, sf001):
     assert labels == [2]
 
 
+def test_labelling_equals_the_training_pass():
+    net = language.Network(["a", "b", "c"], hidden=5)
+    words = [b"abc", b"de", "éfé".encode(), b"x"]
+    rows, lengths = language._batch(words)
+    prob = net._label(rows, lengths)[0]
+    sums = net.pooled(words)
+    for i, w in enumerate(words):
+        assert np.allclose(net.positions(w), prob[1 : len(w) + 1, i], atol=1e-5)
+        assert np.allclose(sums[i], [*prob[1 : len(w) + 1, i].sum(axis=0), len(w)], atol=1e-4)
+
+
 def test_cache_does_not_change_results(monkeypatch):
     net = language.Network(["a", "b"], hidden=4)
     texts = [b"one two three two", b"four five " * 30, b"three " * 5 + b"x" * 100]
     want = language.Reader(net).read(texts)
     monkeypatch.setattr(language, "CACHE_WORDS", 3)
+    monkeypatch.setattr(language, "FLUSH_WORDS", 7)
     small = language.Reader(net)
-    small.prepare(texts)
+    small.read(texts[::-1])
     assert [(a, round(b, 5)) for a, b in small.read(texts)] == [(a, round(b, 5)) for a, b in want]
 
 
