@@ -52,13 +52,15 @@ def with_reach(case_fixes: DataFrame, p: Params, salts: int = 1) -> DataFrame:
     return out.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(salts - 1))))
 
 
-def fix_pairs(case_fixes: DataFrame, fixes: DataFrame, p: Params, salts: int = 1, broadcast_cases: bool = False) -> DataFrame:
-    """All pairs within reach: case_id, seg_no, case_fix, track_id, d (metres), dt (seconds)."""
+def fix_pairs(case_fixes: DataFrame, fixes: DataFrame, p: Params, salts: int | None = None, broadcast_rows: int = 0) -> DataFrame:
+    """All pairs within reach: case_id, seg_no, case_fix, track_id, d (metres), dt (seconds). With broadcast_rows the exploded case side is
+    counted and broadcast if it is no longer than that."""
+    salts = salts or p.salts
     c = with_reach(case_fixes.select(F.col("case_id"), "seg_no", F.col("fix_id").alias("case_fix"), "t_us", "x", "y"), p, salts)
     c = c.select("case_id", "seg_no", "case_fix", F.col("t_us").alias("c_t"), F.col("x").alias("c_x"), F.col("y").alias("c_y"), *CELL, "salt")
     o = with_cells(fixes.select("track_id", "fix_id", "t_us", "x", "y"), p, salts)
-    if broadcast_cases:
-        c = F.broadcast(c)
+    if broadcast_rows:
+        c = maybe_broadcast(c, broadcast_rows)
     on = [*CELL, "salt"]
     d = distance(F.col("c_x"), F.col("c_y"), F.col("x"), F.col("y"), p.metric)
     dt = lag_s(F.col("c_t"), F.col("t_us"))

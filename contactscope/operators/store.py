@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from contactscope.functions.codes import period_bin, row_key, xz_code, xz_ranges
 from contactscope.operators.candidates import BOX
 from contactscope.schema import US, Extent
-from contactscope.workspace import new_path
+from contactscope.workspace import maybe_broadcast, new_path, stored
 
 
 def coded(segments: DataFrame, extent: Extent = Extent(), g: int = 15, unit: str = "day", length: int = 1, shards: int = 16) -> DataFrame:
@@ -58,9 +58,10 @@ def range_query(store: DataFrame, window: tuple[float, float, float, float], st_
     return rows.where((F.col("x0") <= x1) & (F.col("x1") >= x0) & (F.col("y0") <= y1) & (F.col("y1") >= y0) & (F.col("st_us") <= et_us) & (F.col("et_us") >= st_us))
 
 
-def window_query(store: DataFrame, windows: DataFrame, extent: Extent = Extent(), g: int = 15, max_ranges: int = 64, unit_us: int = 86_400 * US) -> DataFrame:
+def window_query(store: DataFrame, windows: DataFrame, extent: Extent = Extent(), g: int = 15, max_ranges: int = 64, unit_us: int = 86_400 * US, broadcast_rows: int = 1_000_000) -> DataFrame:
     """Many windows (window_id and BOX) at once: each becomes its code ranges by a table function, joined with the store on the period and on
-    the code's leading part (the whole code space is cut into equal strips), refined by box and time. Windows are the small, broadcast side."""
+    the code's leading part (the whole code space is cut into equal strips), refined by box and time. Windows are the small side,
+    broadcast up to broadcast_rows probes and shuffled beyond."""
     spark = windows.sparkSession
     strip = max(1, (4 ** (g + 1) // 3) >> 10)
     spark.udtf.register("code_ranges", _ranges_function(extent, g, max_ranges))
@@ -68,12 +69,13 @@ def window_query(store: DataFrame, windows: DataFrame, extent: Extent = Extent()
     w.createOrReplaceTempView("_windows")
     spans = spark.sql("SELECT w.*, r.low, r.high FROM _windows w, LATERAL code_ranges(w.x0, w.y0, w.x1, w.y1) r")
     probes = spans.withColumn("bin", F.explode(F.sequence(F.floor(F.col("st_us") / unit_us).cast("long"), F.floor(F.col("et_us") / unit_us).cast("long"))))
-    probes = probes.withColumn("strip", F.explode(F.sequence(F.floor(F.col("low") / strip).cast("long"), F.floor(F.col("high") / strip).cast("long")))).alias("w")
+    probes = probes.withColumn("strip", F.explode(F.sequence(F.floor(F.col("low") / strip).cast("long"), F.floor(F.col("high") / strip).cast("long"))))
+    probes = stored(probes, "probes")
     rows = store.withColumn("strip", F.floor(F.col("xz") / strip).cast("long")).alias("s")
     c = F.col
     meet = (c("s.x0") <= c("w.x1")) & (c("s.x1") >= c("w.x0")) & (c("s.y0") <= c("w.y1")) & (c("s.y1") >= c("w.y0")) & (c("s.st_us") <= c("w.et_us")) & (c("s.et_us") >= c("w.st_us"))
     on = (c("s.bin") == c("w.bin")) & (c("s.strip") == c("w.strip")) & c("s.xz").between(c("w.low"), c("w.high")) & meet
-    return rows.join(F.broadcast(probes), on).select("w.window_id", "s.track_id", "s.seg_no")
+    return rows.join(maybe_broadcast(probes, broadcast_rows).alias("w"), on).select("w.window_id", "s.track_id", "s.seg_no")
 
 
 def _ranges_function(extent: Extent, g: int, max_ranges: int):

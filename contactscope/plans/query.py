@@ -15,7 +15,7 @@ from contactscope.operators import exposure, prune
 from contactscope.operators.candidates import segment_candidates
 from contactscope.operators.leafindex import leaf_candidates, placed
 from contactscope.operators.segment import build_segments, segment_fixes
-from contactscope.schema import EPS, Extent, Params
+from contactscope.schema import EPS, US, Extent, Params
 from contactscope.workspace import maybe_broadcast, stored
 
 PAIR = ["case_id", "track_id"]
@@ -49,6 +49,24 @@ def store_fixes(store: DataFrame) -> DataFrame:
     return store.select("track_id", F.col("seg_no").alias("store_seg"), F.explode("fixes").alias("f")).select("track_id", "store_seg", "f.fix_id", "f.t_us", "f.x", "f.y")
 
 
+def candidate_fixes(store: DataFrame, candidates: DataFrame, p: Params) -> DataFrame:
+    """The fixes of the candidates' stored segments alone. The list of segments is broadcast if it is short, so that the store's fixes are filtered where
+    they are read and never shuffled as arrays; a long list is a semi join."""
+    wanted = stored(candidates.select("track_id", F.col("store_seg").alias("seg_no")).distinct(), "wanted")
+    return store_fixes(store.join(maybe_broadcast(wanted, p.broadcast_rows), ["track_id", "seg_no"], "left_semi"))
+
+
+def relevant(store: DataFrame, cases: Cases, p: Params, most_periods: int = 2000) -> DataFrame:
+    """The periods of a stored table (column bin, days) that the cases' extended times touch, so that the scan reads only their folders. The
+    list is counted first; a case set over more periods than most_periods reads all."""
+    if "bin" not in store.columns:
+        return store
+    day = 86_400 * US
+    span = F.explode(F.sequence(F.floor((F.col("st_us") - p.reach_us) / day).cast("long"), F.floor((F.col("et_us") + p.reach_us) / day).cast("long")))
+    bins = cases.segments.select(span.alias("bin")).distinct().limit(most_periods + 1).collect()
+    return store if len(bins) > most_periods else store.where(F.col("bin").isin([r["bin"] for r in bins]))
+
+
 def hits_of(candidates: DataFrame, weights: DataFrame) -> DataFrame:
     """Distinct segments met per pair, with weights: case_id, seg_no, track_id, weight, n."""
     return candidates.select("case_id", "seg_no", "track_id").distinct().join(weights, ["case_id", "seg_no"])
@@ -58,9 +76,7 @@ def rates_of(cases: Cases, store: DataFrame, candidates: DataFrame, p: Params) -
     """case_id, seg_no, track_id, weight, seg_rate of all met segments of the candidate pairs; a met segment without any fix in reach has rate 0.
 
     Only the fixes of candidate segments are unfolded, and they meet case fixes in grid cells."""
-    wanted = candidates.select("track_id", "store_seg").distinct()
-    fixes = store_fixes(store.join(wanted.withColumnRenamed("store_seg", "seg_no"), ["track_id", "seg_no"], "left_semi"))
-    cor = exposure.fix_correlation(cases.fixes, fixes, p)
+    cor = exposure.fix_correlation(cases.fixes, candidate_fixes(store, candidates, p), p)
     sums = cor.groupBy("case_id", "seg_no", "track_id").agg(F.sum("cor").alias("cor"))
     met = hits_of(candidates, cases.weights)
     return met.join(sums, ["case_id", "seg_no", "track_id"], "left").select("case_id", "seg_no", "track_id", "weight", (F.coalesce("cor", F.lit(0.0)) / F.col("n")).alias("seg_rate"))
@@ -80,6 +96,7 @@ def exposure_query(store: DataFrame, case_fixes: DataFrame, p: Params = Params()
     strategy fused: point rates of all surviving candidates in one pass, bounds inside the aggregation. waves: segments in order
     of weight, pairs that the running bound drops are not evaluated further. fold: each pair in one Python call that stops at the first violation."""
     cases = prepare_cases(case_fixes, p)
+    store = relevant(store, cases, p)
     candidates = segment_candidates(cases.segments, store, p, p.broadcast_rows)
     if not prune_pairs:
         return exposure.above(exposure.track_rate(rates_of(cases, store, candidates, p)), p)
@@ -99,6 +116,7 @@ def exposure_join(store: DataFrame, case_fixes: DataFrame, p: Params = Params(),
     """case_id, track_id, rate above theta for a set of cases: candidates are fetched once per space-time leaf and shared by its members.
     leaf_resolution None gives every segment a leaf of its own."""
     cases = prepare_cases(case_fixes, p)
+    store = relevant(store, cases, p)
     members = placed(cases.segments, leaf_resolution, extent, **limits)
     candidates = leaf_candidates(members, store, p, p.broadcast_rows)
     if not prune_pairs:
@@ -168,9 +186,7 @@ def exposure_topk(store: DataFrame, case_fixes: DataFrame, k: int, p: Params = P
     lower bound. Pairs whose upper bound is below it are dropped before their rates are summed."""
     cases = prepare_cases(case_fixes, p)
     candidates = segment_candidates(cases.segments, store, p, p.broadcast_rows)
-    wanted = candidates.select("track_id", "store_seg").distinct()
-    fixes = store_fixes(store.join(wanted.withColumnRenamed("store_seg", "seg_no"), ["track_id", "seg_no"], "left_semi"))
-    cor = stored(exposure.fix_correlation(cases.fixes, fixes, p), "cor")
+    cor = stored(exposure.fix_correlation(cases.fixes, candidate_fixes(store, candidates, p), p), "cor")
     bounds = prune.cover_bound(cor, cases.weights)
     by_low = Window.partitionBy("case_id").orderBy(F.col("low").desc(), "track_id")
     seed = bounds.withColumn("k", F.row_number().over(by_low)).where(F.col("k") == k).select("case_id", F.col("low").alias("floor"))

@@ -338,7 +338,7 @@ def incubation_window(spark, sf):
     f = tracks.venue_fixes_user(spark, sf)
     cases = f.where("owner_id % 10 = 0")
     last = cases.groupBy("track_id").agg(F.max("t_us").alias("last_us"))
-    recent = cases.join(F.broadcast(last), "track_id").where(F.col("t_us") > F.col("last_us") - 14 * 86_400 * US).drop("last_us")
+    recent = cases.join(last, "track_id").where(F.col("t_us") > F.col("last_us") - 14 * 86_400 * US).drop("last_us")
     return _r(query.exposure_join(stored(query.build_store(f, PU), "segments"), recent, PU), "rate")
 
 
@@ -571,7 +571,7 @@ def op_filter_window(spark, sf):
 @registered
 def op_broadcast_contact(spark, sf):
     c = tracks.case_fixes(spark, sf).where("owner_id = 10").select(F.col("track_id").alias("case_id"), F.lit(0).alias("seg_no"), "fix_id", "t_us", "x", "y")
-    return exposure.fix_pairs(c, tracks.venue_fixes(spark, sf), P, broadcast_cases=True).groupBy("case_id", "track_id").agg(F.count("*").alias("n"))
+    return exposure.fix_pairs(c, tracks.venue_fixes(spark, sf), P, broadcast_rows=P.broadcast_rows).groupBy("case_id", "track_id").agg(F.count("*").alias("n"))
 
 
 @registered

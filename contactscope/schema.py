@@ -15,7 +15,8 @@ FIX = T.StructType([T.StructField("track_id", T.LongType()), T.StructField("fix_
 
 @dataclass(frozen=True)
 class Params:
-    """Thresholds of the exposure measure and of segmentation. Distances in metres, times in seconds."""
+    """Thresholds of the exposure measure and of segmentation. Distances in metres, times in seconds. broadcast_rows: most rows
+    of a side that is broadcast after counting it. salts: parts into which every grid cell is split where some cells are hot."""
 
     lam: float = 0.5
     theta: float = 0.5
@@ -29,6 +30,7 @@ class Params:
     exclude_self: bool = True
     resolution: int = 15
     broadcast_rows: int = 1_000_000
+    salts: int = 1
 
     def __post_init__(self):
         if not 0 <= self.lam <= 1:

@@ -155,3 +155,24 @@ def test_entry_runs(spark):
 
     assert __spark_entry__.entry(spark).count() == 26
     assert set(queries.queries()) <= set(__spark_entry__.queries())
+
+
+def test_plan_report_and_period_pruning(spark, venue):
+    from contactscope.plans.planner import input_files, plan_report
+
+    p = Params(theta=0.3)
+    s = store.read_store(spark, store.write_segments(query.build_store(venue, p)))
+    one_day = venue.where("owner_id % 3 = 0 and track_id % 100000 = 4")
+    cases = query.prepare_cases(one_day, p)
+    bins = {r["bin"] for r in input_files(query.relevant(s, cases, p)).collect()}
+    assert bins and bins <= {19723 + d for d in (3, 4, 5)}
+    report = plan_report(s, one_day, p)
+    assert report["leaves"] <= report["case_segments"] and report["pairs_kept_by_weight"] <= report["candidate_pairs"]
+    want = answer(exposure.above(exposure.track_rate(query.direct_rates(one_day, venue, p)), p))
+    assert answer(query.exposure_join(s, one_day, p)) == want == answer(query.exposure_query(s, one_day, p))
+
+
+def test_hot_cells_may_be_salted(venue, segments):
+    cases = venue.where("owner_id % 4 = 1")
+    p = Params(theta=0.05)
+    assert answer(query.exposure_join(segments, cases, p.but(salts=4))) == answer(query.exposure_join(segments, cases, p))
