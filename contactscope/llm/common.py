@@ -28,9 +28,16 @@ def work_dir(spark: SparkSession) -> str:
     return base
 
 
-def stored(df: DataFrame, name: str) -> DataFrame:
-    """Write df as Parquet to the shared folder and read it back: lineage is cut and lost executors cost no rework."""
+#: Rows in one file of a written table whose size is known.
+FILE_ROWS = 500_000
+
+
+def stored(df: DataFrame, name: str, rows: int | None = None) -> DataFrame:
+    """Write df as Parquet to the shared folder and read it back: lineage is cut and lost executors cost no rework. rows: an upper bound
+    of df's rows where one is known; the table then has a file for each FILE_ROWS of them, not for each shuffle partition."""
     spark = df.sparkSession
+    if rows is not None:
+        df = df.coalesce(rows // FILE_ROWS + 1)
     path = f"{work_dir(spark).rstrip('/')}/llm/{name}-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
     return spark.read.schema(df.schema).parquet(path)
@@ -45,10 +52,10 @@ def bounded(df: DataFrame, most: int = MAX_BROADCAST_IDS) -> DataFrame:
     return F.broadcast(df) if df.count() <= most else df
 
 
-def without_ids(docs: DataFrame, dropped: DataFrame, key: str = "doc_id") -> DataFrame:
-    """Rows of docs whose key isn't in dropped (one column, the same name). The list is broadcast only after its
-    length was counted and found small; otherwise it is a shuffled anti join. Rows with a null key stay."""
-    dropped = stored(dropped.select(key).where(F.col(key).isNotNull()).distinct(), "dropped")
+def without_ids(docs: DataFrame, dropped: DataFrame, key: str = "doc_id", rows: int | None = None) -> DataFrame:
+    """Rows of docs whose key isn't in dropped (the same name). The list is broadcast only after its
+    length was counted and found small; otherwise it is a shuffled anti join. Rows with a null key stay. rows: most rows of dropped, if known."""
+    dropped = stored(dropped.select(key).where(F.col(key).isNotNull()), "dropped", rows)
     return docs.join(bounded(dropped), key, "left_anti").select(*docs.columns)
 
 

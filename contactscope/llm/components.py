@@ -26,17 +26,19 @@ def _small_star(edges: DataFrame) -> DataFrame:
     return own.unionByName(others).distinct()
 
 
-def _mark(edges: DataFrame) -> tuple:
-    return tuple(edges.agg(F.count("*"), F.sum(F.xxhash64("u", "v") % 1_000_003), F.sum(F.xxhash64("v") % 1_000_003)).first())
+def _settled(edges: DataFrame) -> bool:
+    """True if every u has one v and no v has one of its own: stars that touch no other."""
+    both = edges.select(F.col("u").alias("x"), F.lit(1).alias("out"), F.lit(0).alias("into")).unionByName(edges.select(F.col("v").alias("x"), F.lit(0).alias("out"), F.lit(1).alias("into")))
+    per = both.groupBy("x").agg(F.sum("out").alias("out"), F.max("into").alias("into"))
+    return per.where((F.col("out") > 1) | ((F.col("out") > 0) & (F.col("into") > 0))).isEmpty()
 
 
 def stars(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
-    """Edges (u, v) of longs, u <> v, to rows (u, v): v is the least vertex of u's component; roots have no row."""
-    now = stored(_small_star(edges.where("u <> v")), "edges")
-    mark = _mark(now)
+    """Edges (u, v) of longs, a written table, to rows (u, v): v is the least vertex of u's component; roots have no row."""
+    most = 2 * edges.count()
+    now = stored(_small_star(edges.where("u <> v")), "edges", most)
     for _ in range(max_rounds):
-        now = stored(_small_star(_large_star(now)), "edges")
-        before, mark = mark, _mark(now)
-        if before == mark:
+        if _settled(now):
             return now
+        now = stored(_small_star(_large_star(now)), "edges", most)
     raise RuntimeError(f"components did not settle in {max_rounds} rounds")

@@ -162,7 +162,7 @@ def duplicates(docs: DataFrame, max_bitmap_bits: int = 1 << 31) -> DataFrame:
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     plan = Plan(texts.count(), int(spark.conf.get("spark.sql.shuffle.partitions")), max_bitmap_bits)
     sent = stored(_send(texts, plan), "sent")
-    slices = {r["owner"]: bytes(r["bitmap"]) for r in _owned(sent.where("owner is not null").select("owner", "coded"), plan).toLocalIterator()}
+    slices = {r["owner"]: bytes(r["bitmap"]) for r in _owned(sent.where("owner is not null").select("owner", "coded"), plan).collect()}  # at most max_bitmap_bits / 8 bytes in all
     empty = bytes(1 << (plan.bitmap - plan.owners - 3))
     bitmap = b"".join(slices.get(o, empty) for o in range(1 << plan.owners))
     verified = _suspects(texts, plan, bitmap).groupBy("sha", "norm").agg(F.sum("n").alias("group_size"), F.min(F.struct("less", "missing", "doc_id")).alias("best"))

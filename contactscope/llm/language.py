@@ -274,7 +274,7 @@ def reader_of(net: Network | None) -> Reader:
 
 def fit(docs: DataFrame, per_language: int = 300, max_languages: int = 256, words_per_doc: int = 40, hidden: int = 16) -> Network | None:
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.col("lang").cast("string").alias("lang")).where(F.col("text").isNotNull() & F.col("lang").isNotNull() & F.col("doc_id").isNotNull() & ~held_out())
-    counts = {r["lang"]: r["n"] for r in rows.groupBy("lang").agg(F.count("*").alias("n")).limit(max_languages + 1).toLocalIterator()}
+    counts = {r["lang"]: r["n"] for r in rows.groupBy("lang").agg(F.count("*").alias("n")).limit(max_languages + 1).collect()}
     if len(counts) > max_languages:
         raise ValueError(f"more than {max_languages} languages; raise max_languages")
     if not counts:
@@ -293,7 +293,7 @@ def fit(docs: DataFrame, per_language: int = 300, max_languages: int = 256, word
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("lang"), pa.array(made, pa.binary())], ["doc_id", "lang", "made"])
 
     by_lang: dict[str, list] = {k: [] for k in languages}
-    for r in drawn.mapInArrow(run, "doc_id long, lang string, made binary").toLocalIterator():
+    for r in drawn.mapInArrow(run, "doc_id long, lang string, made binary").collect():  # about per_language rows of words_per_doc segments for each language
         by_lang[r["lang"]].append((r["doc_id"], bytes(r["made"])))
     words, target = [], []
     for i, k in enumerate(languages):

@@ -178,7 +178,7 @@ def pack(docs: DataFrame, tokenizer: str | None = None, ranks: str | None = None
     by_part = tokens.groupBy("part", "source").agg(F.sum("size").alias("n"))
     before = Window.partitionBy("source").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
     bases = stored(by_part.select("part", "source", "n", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("before")), "bases")
-    totals = {r["source"]: int(r["n"]) for r in bases.groupBy("source").agg(F.sum("n").alias("n")).orderBy("source").toLocalIterator()}
+    totals = {r["source"]: int(r["n"]) for r in bases.groupBy("source").agg(F.sum("n").alias("n")).collect()}
     names = sorted(totals)
     shares = None
     if weights is not None:

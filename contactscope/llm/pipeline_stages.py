@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from contactscope.llm import decontaminate, exact_dedup, language, packing, simhash
-from contactscope.llm.common import stored, table, without_ids
+from contactscope.llm.common import table, without_ids
 
 #: Documents whose best language holds a smaller share of the positions are rejected.
 LEAST_SHARE = 0.3
@@ -16,12 +16,11 @@ def keep_known_languages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 
 
 def keep_first_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    found = stored(exact_dedup.duplicates(docs).where("not kept").select("doc_id"), "copies")
-    return without_ids(docs, found)
+    return without_ids(docs, exact_dedup.duplicates(docs).where("not kept").select("doc_id"), rows=docs.count())
 
 
 def keep_one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return without_ids(docs, simhash.near_duplicates(docs).where("doc_id <> component_id").select("doc_id"))
+    return without_ids(docs, simhash.near_duplicates(docs).where("doc_id <> component_id").select("doc_id"), rows=docs.count())
 
 
 def drop_benchmark_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -204,12 +204,14 @@ def links(prints: DataFrame, budget: int = 4, blocks: int | None = None) -> Data
 def near_duplicates(docs: DataFrame, shingle: int = 4, seed: int = 42, budget: int = 4) -> DataFrame:
     """doc_id, fingerprint (16 hex digits), component_id (smallest doc_id reachable over links)."""
     made = stored(fingerprints(docs, shingle, seed), "simhash")
-    prints = stored(made.groupBy("fp").agg(F.min("doc_id").alias("least")), "prints")
-    star = stars(stored(links(prints.select("fp"), budget), "links"))
+    docs_n = made.count()
+    prints = stored(made.groupBy("fp").agg(F.min("doc_id").alias("least")), "prints", docs_n)
+    n = prints.count()
+    star = stars(stored(links(prints.select("fp"), budget), "links", 5 * n))
     member = star.select(F.col("u").alias("fp"), F.col("v").alias("root")).unionByName(star.select(F.col("v").alias("fp"), F.col("v").alias("root")).distinct())
     rooted = prints.join(member, "fp")
     least = rooted.groupBy("root").agg(F.min("least").alias("component"))
     linked = rooted.join(least, "root").select("fp", "component")
     # written, so that the last join shuffles both sides by itself and a hot fingerprint's rows can be split
-    owner = stored(prints.join(linked, "fp", "left").select("fp", F.coalesce("component", "least").alias("component_id")), "owner")
+    owner = stored(prints.join(linked, "fp", "left").select("fp", F.coalesce("component", "least").alias("component_id")), "owner", n)
     return made.join(owner, "fp", "left").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")

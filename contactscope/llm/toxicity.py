@@ -119,7 +119,7 @@ def train(positive: list[np.ndarray], unlabelled: list[np.ndarray], prior: float
 
 
 def _picked(ids: DataFrame, n: int) -> list[int]:
-    return [r[0] for r in ids.orderBy(F.xxhash64("doc_id"), "doc_id").limit(n).toLocalIterator()]
+    return [r[0] for r in ids.orderBy(F.xxhash64("doc_id"), "doc_id").limit(n).collect()]
 
 
 def _gathered(docs: DataFrame, ids: list[int]) -> list[np.ndarray]:
@@ -133,7 +133,7 @@ def _gathered(docs: DataFrame, ids: list[int]) -> list[np.ndarray]:
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(made, pa.binary())], ["doc_id", "made"])
 
     rows = docs.join(wanted, "doc_id", "left_semi").mapInArrow(run, "doc_id long, made binary")
-    found = {r["doc_id"]: np.frombuffer(bytes(r["made"]), "<i4").astype(np.int64) for r in rows.toLocalIterator()}
+    found = {r["doc_id"]: np.frombuffer(bytes(r["made"]), "<i4").astype(np.int64) for r in rows.collect()}  # at most max_positive or max_unlabelled rows
     return [found[i] for i in sorted(found)]
 
 

@@ -101,7 +101,7 @@ def write_archives(pages: DataFrame, min_revisit_bytes: int = 0, chunk_bytes: in
     hashed = _digests(pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html")))
     keys = ["sha1", "sha2", "payload_bytes"]
     firsts = hashed.where(F.col("payload_bytes") >= min_revisit_bytes).groupBy(*keys).agg(F.min("page_id").alias("least"), F.count("*").alias("copies")).where("copies > 1").drop("copies")
-    firsts = stored(firsts, "firsts")
+    firsts = stored(firsts, "firsts", pages.count())
     if firsts.count() <= 200_000:
         firsts = F.broadcast(firsts)
     first = F.when(F.col("least").isNotNull() & ~F.col("least").eqNullSafe(F.col("page_id")), F.col("least"))
