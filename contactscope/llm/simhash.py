@@ -95,6 +95,8 @@ def trie_components(codes: np.ndarray, groups: np.ndarray, budget: int, limit: i
 
     def split(lo: np.ndarray, hi: np.ndarray, bit: int) -> np.ndarray:
         if bit not in ones:
+            if len(ones) * n > 20_000_000:  # bounds the memory of large groups
+                ones.clear()
             ones[bit] = np.concatenate(([0], np.cumsum((codes >> np.uint64(bit)) & np.uint64(1), dtype=np.int64))).astype(np.int32 if n < 2**31 else np.int64)
         count = ones[bit]
         return hi - (count[hi] - count[lo])
@@ -210,8 +212,8 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, seed: int = 42, budget: i
     star = stars(stored(links(prints.select("fp"), budget), "links", 5 * n))
     member = star.select(F.col("u").alias("fp"), F.col("v").alias("root")).unionByName(star.select(F.col("v").alias("fp"), F.col("v").alias("root")).distinct())
     rooted = prints.join(member, "fp")
-    least = rooted.groupBy("root").agg(F.min("least").alias("component"))
+    least = stored(rooted.groupBy("root").agg(F.min("least").alias("component")), "least", n)
     linked = rooted.join(least, "root").select("fp", "component")
-    # written, so that the last join shuffles both sides by itself and a hot fingerprint's rows can be split
+    # least and owner are written, so that the joins with them shuffle both sides by themselves and a hot key's rows can be split
     owner = stored(prints.join(linked, "fp", "left").select("fp", F.coalesce("component", "least").alias("component_id")), "owner", n)
     return made.join(owner, "fp", "left").select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
