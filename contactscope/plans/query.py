@@ -51,9 +51,11 @@ def store_fixes(store: DataFrame) -> DataFrame:
 
 def candidate_fixes(store: DataFrame, candidates: DataFrame, p: Params) -> DataFrame:
     """The fixes of the candidates' stored segments alone. The list of segments is broadcast if it is short, so that the store's fixes are filtered where
-    they are read and never shuffled as arrays; a long list is a semi join."""
-    wanted = stored(candidates.select("track_id", F.col("store_seg").alias("seg_no")).distinct(), "wanted")
-    return store_fixes(store.join(maybe_broadcast(wanted, p.broadcast_rows), ["track_id", "seg_no"], "left_semi"))
+    they are read and never shuffled as arrays; a long list is a semi join. candidates: a written table, whose count costs nothing."""
+    wanted = candidates.select("track_id", F.col("store_seg").alias("seg_no")).distinct()
+    if candidates.count() <= p.broadcast_rows:
+        wanted = F.broadcast(wanted)
+    return store_fixes(store.join(wanted, ["track_id", "seg_no"], "left_semi"))
 
 
 def relevant(store: DataFrame, cases: Cases, p: Params, most_periods: int = 2000) -> DataFrame:
@@ -75,19 +77,29 @@ def hits_of(candidates: DataFrame, weights: DataFrame) -> DataFrame:
 def rates_of(cases: Cases, store: DataFrame, candidates: DataFrame, p: Params) -> DataFrame:
     """case_id, seg_no, track_id, weight, seg_rate of all met segments of the candidate pairs; a met segment without any fix in reach has rate 0.
 
-    Only the fixes of candidate segments are unfolded, and they meet case fixes in grid cells."""
-    cor = exposure.fix_correlation(cases.fixes, candidate_fixes(store, candidates, p), p)
+    candidates: a written table with weight and n. Only the fixes of candidate segments are unfolded, and they meet the fixes of case segments with candidates in grid cells."""
+    met = candidates.select("case_id", "seg_no", "track_id", "weight", "n").distinct()
+    open_ = met.select("case_id", "seg_no").distinct()
+    own = cases.fixes.join(F.broadcast(open_) if candidates.count() <= p.broadcast_rows else open_, ["case_id", "seg_no"], "left_semi")
+    cor = exposure.fix_correlation(own, candidate_fixes(store, candidates, p), p)
     sums = cor.groupBy("case_id", "seg_no", "track_id").agg(F.sum("cor").alias("cor"))
-    met = hits_of(candidates, cases.weights)
     return met.join(sums, ["case_id", "seg_no", "track_id"], "left").select("case_id", "seg_no", "track_id", "weight", (F.coalesce("cor", F.lit(0.0)) / F.col("n")).alias("seg_rate"))
 
 
-def _pruned_candidates(candidates: DataFrame, cases: Cases, p: Params) -> DataFrame:
-    """Candidates of pairs that pass the weight bound and meet every mandatory segment."""
-    hits = hits_of(candidates, cases.weights)
-    pairs = prune.prune_weight(hits, p.theta).select(*PAIR)
-    pairs = prune.prune_mandatory(pairs, hits, cases.weights, p.theta)
-    return candidates.join(pairs, PAIR, "left_semi")
+def weighed(candidates: DataFrame, cases: Cases, p: Params, prune_pairs: bool) -> DataFrame:
+    """Candidates with weight and n of their case segment, written. Pruned: only those of pairs whose met segments weigh enough and include
+    every mandatory one; both follow from window sums over one shuffle by pair."""
+    must = F.col("weight") > 1 - p.theta + EPS
+    weights = cases.weights.withColumn("must", must.cast("int"))
+    weights = weights.withColumn("need", F.sum("must").over(Window.partitionBy("case_id")))
+    rows = candidates.join(weights, ["case_id", "seg_no"])
+    if prune_pairs:
+        pair = Window.partitionBy(*PAIR)
+        new = F.lag("seg_no").over(pair.orderBy("seg_no", "store_seg")).eqNullSafe(F.col("seg_no"))
+        rows = rows.withColumn("new", (~new).cast("int"))
+        met, got = F.sum(F.col("new") * F.col("weight")).over(pair), F.sum(F.col("new") * F.col("must")).over(pair)
+        rows = rows.withColumns({"met": met, "got": got}).where((F.col("met") >= p.theta - EPS) & (F.col("got") >= F.col("need")))
+    return stored(rows.select("case_id", "seg_no", "track_id", "store_seg", "weight", "n"), "candidates")
 
 
 def exposure_query(store: DataFrame, case_fixes: DataFrame, p: Params = Params(), prune_pairs: bool = True, strategy: str = "fused") -> DataFrame:
@@ -97,19 +109,16 @@ def exposure_query(store: DataFrame, case_fixes: DataFrame, p: Params = Params()
     of weight, pairs that the running bound drops are not evaluated further. fold: each pair in one Python call that stops at the first violation."""
     cases = prepare_cases(case_fixes, p)
     store = relevant(store, cases, p)
-    candidates = segment_candidates(cases.segments, store, p, p.broadcast_rows)
+    candidates = weighed(segment_candidates(cases.segments, store, p, p.broadcast_rows), cases, p, prune_pairs)
     if not prune_pairs:
         return exposure.above(exposure.track_rate(rates_of(cases, store, candidates, p)), p)
-    candidates = stored(_pruned_candidates(candidates, cases, p), "candidates")
     if strategy == "waves":
         return _waves(cases, store, candidates, p)
     if strategy == "fold":
         return _fold(cases, store, candidates, p)
     if strategy != "fused":
         raise ValueError("strategy is fused, waves or fold")
-    rates = rates_of(cases, store, candidates, p)
-    lost = prune.dropped(rates, p.theta, "running")
-    return exposure.above(exposure.track_rate(rates.join(lost, PAIR, "left_anti")), p)
+    return exposure.above(prune.fused(rates_of(cases, store, candidates, p), p.theta), p)
 
 
 def exposure_join(store: DataFrame, case_fixes: DataFrame, p: Params = Params(), prune_pairs: bool = True, leaf_resolution: int | None = 3, extent: Extent = Extent(), **limits) -> DataFrame:
@@ -118,10 +127,9 @@ def exposure_join(store: DataFrame, case_fixes: DataFrame, p: Params = Params(),
     cases = prepare_cases(case_fixes, p)
     store = relevant(store, cases, p)
     members = placed(cases.segments, leaf_resolution, extent, **limits)
-    candidates = leaf_candidates(members, store, p, p.broadcast_rows)
+    candidates = weighed(leaf_candidates(members, store, p, p.broadcast_rows), cases, p, prune_pairs)
     if not prune_pairs:
         return exposure.above(exposure.track_rate(rates_of(cases, store, candidates, p)), p)
-    candidates = stored(_pruned_candidates(candidates, cases, p), "candidates")
     return exposure.above(prune.fused(rates_of(cases, store, candidates, p), p.theta), p)
 
 
@@ -134,13 +142,13 @@ def direct_rates(case_fixes: DataFrame, fixes: DataFrame, p: Params) -> DataFram
 def _waves(cases: Cases, store: DataFrame, candidates: DataFrame, p: Params, most: int = 3) -> DataFrame:
     """Met segments by falling weight: the first ones one wave each, the rest together. Each wave is written, and the next
     joins only pairs that can still pass."""
-    met = stored(hits_of(candidates, cases.weights), "met")
+    met = candidates.select("case_id", "seg_no", "track_id", "weight", "n").distinct()
     order = F.row_number().over(Window.partitionBy(*PAIR).orderBy(F.col("weight").desc(), "seg_no"))
     ranked = stored(met.withColumn("wave", F.least(order, F.lit(most))), "ranked")
     state = met.groupBy(*PAIR).agg(F.sum("weight").alias("open"), F.lit(0.0).alias("rate"))
     for wave in range(1, most + 1):
         now = ranked.where(F.col("wave") == wave).join(state.select(*PAIR), PAIR, "left_semi")
-        part = candidates.join(now.select("case_id", "seg_no", "track_id"), ["case_id", "seg_no", "track_id"], "left_semi")
+        part = stored(candidates.join(now.select("case_id", "seg_no", "track_id"), ["case_id", "seg_no", "track_id"], "left_semi"), "part")
         gained = rates_of(cases, store, part, p).groupBy(*PAIR).agg(F.sum(F.col("weight") * F.col("seg_rate")).alias("gain"), F.sum("weight").alias("spent"))
         moved = state.join(gained, PAIR, "left").select(*PAIR, (F.col("open") - F.coalesce("spent", F.lit(0.0))).alias("open"), (F.col("rate") + F.coalesce("gain", F.lit(0.0))).alias("rate"))
         state = stored(moved.where(F.col("rate") + F.col("open") >= p.theta - EPS), f"wave{wave}")
@@ -152,7 +160,7 @@ def _fold(cases: Cases, store: DataFrame, candidates: DataFrame, p: Params) -> D
     one case and of one track's candidate segments."""
     if p.metric != "planar":
         raise ValueError("fold is planar")
-    met = hits_of(candidates, cases.weights)
+    met = candidates.select("case_id", "seg_no", "track_id", "weight").distinct()
     own = cases.fixes.groupBy("case_id", "seg_no").agg(F.sort_array(F.collect_list(F.struct("t_us", "fix_id", "x", "y"))).alias("own"))
     other = candidates.select("case_id", "seg_no", "track_id", "store_seg").join(store.select("track_id", F.col("seg_no").alias("store_seg"), "fixes"), ["track_id", "store_seg"])
     other = other.groupBy("case_id", "seg_no", "track_id").agg(F.flatten(F.collect_list("fixes")).alias("other"))
@@ -185,7 +193,7 @@ def exposure_topk(store: DataFrame, case_fixes: DataFrame, k: int, p: Params = P
     """The k highest positive rates of each case, without a threshold; ties by track_id. The cover bound seeds a threshold per case: the k-th best
     lower bound. Pairs whose upper bound is below it are dropped before their rates are summed."""
     cases = prepare_cases(case_fixes, p)
-    candidates = segment_candidates(cases.segments, store, p, p.broadcast_rows)
+    candidates = weighed(segment_candidates(cases.segments, store, p, p.broadcast_rows), cases, p, False)
     cor = stored(exposure.fix_correlation(cases.fixes, candidate_fixes(store, candidates, p), p), "cor")
     bounds = prune.cover_bound(cor, cases.weights)
     by_low = Window.partitionBy("case_id").orderBy(F.col("low").desc(), "track_id")
