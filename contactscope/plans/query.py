@@ -49,11 +49,12 @@ def store_fixes(store: DataFrame) -> DataFrame:
     return store.select("track_id", F.col("seg_no").alias("store_seg"), F.explode("fixes").alias("f")).select("track_id", "store_seg", "f.fix_id", "f.t_us", "f.x", "f.y")
 
 
-def candidate_fixes(store: DataFrame, candidates: DataFrame, p: Params) -> DataFrame:
+def candidate_fixes(store: DataFrame, candidates: DataFrame, p: Params, few: bool | None = None) -> DataFrame:
     """The fixes of the candidates' stored segments alone. The list of segments is broadcast if it is short, so that the store's fixes are filtered where
     they are read and never shuffled as arrays; a long list is a semi join. candidates: a written table, whose count costs nothing."""
     wanted = candidates.select("track_id", F.col("store_seg").alias("seg_no")).distinct()
-    if candidates.count() <= p.broadcast_rows:
+    few = candidates.count() <= p.broadcast_rows if few is None else few
+    if few:
         wanted = F.broadcast(wanted)
     return store_fixes(store.join(wanted, ["track_id", "seg_no"], "left_semi"))
 
@@ -80,8 +81,9 @@ def rates_of(cases: Cases, store: DataFrame, candidates: DataFrame, p: Params) -
     candidates: a written table with weight and n. Only the fixes of candidate segments are unfolded, and they meet the fixes of case segments with candidates in grid cells."""
     met = candidates.select("case_id", "seg_no", "track_id", "weight", "n").distinct()
     open_ = met.select("case_id", "seg_no").distinct()
-    own = cases.fixes.join(F.broadcast(open_) if candidates.count() <= p.broadcast_rows else open_, ["case_id", "seg_no"], "left_semi")
-    cor = exposure.fix_correlation(own, candidate_fixes(store, candidates, p), p)
+    few = candidates.count() <= p.broadcast_rows
+    own = cases.fixes.join(F.broadcast(open_) if few else open_, ["case_id", "seg_no"], "left_semi")
+    cor = exposure.fix_correlation(own, candidate_fixes(store, candidates, p, few), p)
     sums = cor.groupBy("case_id", "seg_no", "track_id").agg(F.sum("cor").alias("cor"))
     return met.join(sums, ["case_id", "seg_no", "track_id"], "left").select("case_id", "seg_no", "track_id", "weight", (F.coalesce("cor", F.lit(0.0)) / F.col("n")).alias("seg_rate"))
 
