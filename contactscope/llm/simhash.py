@@ -209,7 +209,7 @@ def near_duplicates(docs: DataFrame, shingle: int = 4, seed: int = 42, budget: i
     docs_n = made.count()
     prints = stored(made.groupBy("fp").agg(F.min("doc_id").alias("least")), "prints", docs_n)
     n = prints.count()
-    star = stars(stored(links(prints.select("fp"), budget), "links", 5 * n))
+    star = stars(stored(links(prints.select("fp"), budget), "links", 5 * n, 100_000))
     member = star.select(F.col("u").alias("fp"), F.col("v").alias("root")).unionByName(star.select(F.col("v").alias("fp"), F.col("v").alias("root")).distinct())
     rooted = prints.join(member, "fp")
     least = stored(rooted.groupBy("root").agg(F.min("least").alias("component")), "least", n)
