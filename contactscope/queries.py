@@ -510,6 +510,19 @@ def measure_candidates(spark, sf):
     return found.agg(F.count("*").alias("segment_pairs"), F.count_distinct("case_id", "track_id").alias("pairs")).join(F.broadcast(kept))
 
 
+@registered
+def measure_saving(spark, sf):
+    """What pruning before the point stage saves: candidate segment pairs, stored segments and fixes to unfold, without and with it."""
+    c, s, out = _cases(spark, sf), _store(spark, sf), None
+    found = stored(cand.segment_candidates(c.segments, s, P, P.broadcast_rows), "found")
+    for pruned in (False, True):
+        rows = query.weighed(found, c, P, pruned)
+        part = s.join(rows.select("track_id", F.col("store_seg").alias("seg_no")).distinct(), ["track_id", "seg_no"], "left_semi")
+        one = rows.agg(F.lit(pruned).alias("pruned"), F.count("*").alias("segment_pairs")).join(F.broadcast(part.agg(F.count("*").alias("segments"), F.sum("n").alias("fixes"))))
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 @registered
 def measure_evaluations(spark, sf):
     c = _cases(spark, sf)
