@@ -276,6 +276,20 @@ def test_common_words():
     assert passages.common_words(a, a[:0]) == 0
 
 
+@pytest.mark.parametrize(("times", "words", "gap"), [(3, 51, 30), (5, 51, 30), (2, 60, 34)])
+def test_passages_between_different_words_are_found(times, words, gap):
+    g = np.random.default_rng(times)
+    for _ in range(20):
+        same = g.integers(0, 65536, (times, words))
+        x, y = (np.concatenate([np.concatenate((p, g.integers(0, 65536, gap))) for p in same]).astype(np.uint16) for _ in range(2))
+        found = passages.passages(x, y)
+        covered = np.zeros(len(x), bool)
+        for xs, xe, ys, ye, equal in found:
+            assert min(xe - xs, ye - ys) >= 50 and equal >= 0.8 * max(xe - xs, ye - ys)
+            covered[xs:xe] = True
+        assert all(covered[i * (words + gap) : i * (words + gap) + words].all() for i in range(times))
+
+
 # --- licenses
 
 
