@@ -290,6 +290,36 @@ def test_passages_between_different_words_are_found(times, words, gap):
         assert all(covered[i * (words + gap) : i * (words + gap) + words].all() for i in range(times))
 
 
+@pytest.mark.parametrize("repeats", [64, 65, 200])
+def test_every_repeat_of_a_footer_is_found(repeats):
+    g = np.random.default_rng(repeats)
+    fresh = lambda n: g.integers(0, 65536, n)
+    footer = fresh(60)
+    x = np.concatenate([np.concatenate((fresh(50), footer)) for _ in range(repeats)]).astype(np.uint16)
+    y = np.concatenate((fresh(70), footer, fresh(70))).astype(np.uint16)
+    found = passages.passages(x, y)
+    assert all(any(s <= i * 110 + 50 and i * 110 + 110 <= e for s, e, *_ in found) for i in range(repeats))
+
+
+def test_stray_seeds_do_not_hide_repeats():
+    g = np.random.default_rng(3)
+    fresh = lambda n: g.integers(0, 65536, n)
+    same = fresh(60)
+    for at in range(0, 50, 5):
+        x, y = (np.concatenate([same[at : at + 10 * stray]] + [np.concatenate((fresh(50), same)) for _ in range(n)]).astype(np.uint16) for n, stray in ((9, 1), (8, 0)))
+        found = passages.passages(x, y)
+        assert all(any(s <= 10 + i * 110 + 50 and 10 + i * 110 + 110 <= e for s, e, *_ in found) for i in range(9))
+
+
+@pytest.mark.parametrize("most", [1, 7, 10**6])
+def test_matches_are_all_pairs_of_equal_seeds(most):
+    g = np.random.default_rng(most)
+    x, y = (g.integers(0, 2, n).astype(np.uint16) for n in (300, 200))
+    (hx, px), (hy, py) = passages.seeds(x), passages.seeds(y)
+    want = sorted((int(a), int(b)) for a, s in zip(px, hx) for b, t in zip(py, hy) if s == t)
+    assert sorted((int(a), int(b)) for m in passages.matches(x, y, 5, 16, most) for a, b in zip(*m)) == want
+
+
 # --- licenses
 
 
