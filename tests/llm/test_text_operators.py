@@ -320,6 +320,28 @@ def test_matches_are_all_pairs_of_equal_seeds(most):
     assert sorted((int(a), int(b)) for m in passages.matches(x, y, 5, 16, most) for a, b in zip(*m)) == want
 
 
+def test_exact_windows_are_those_of_the_definition():
+    g = np.random.default_rng(8)
+    same = g.integers(0, 65536, 51)
+    docs = [np.concatenate((g.integers(0, 65536, g.integers(0, 80)), same, g.integers(0, 65536, 9))).astype(np.uint16) for _ in range(20)]
+    seeds = [set(passages.seeds(d)[0].tolist()) for d in docs]
+    for x, own in zip(docs, seeds):
+        shared = np.array(sorted(q for q in own if sum(q in o for o in seeds) > 1), np.uint64)
+        keys = passages.exact_keys(x, shared, 5, 16, 50)
+        assert 2 <= len(keys) <= len(x) - 49 and set(passages.exact_keys(same.astype(np.uint16), shared, 5, 16, 50).tolist()) <= set(keys.tolist())
+
+
+def test_exact_passages_behind_strangers_are_found(spark):
+    g = np.random.default_rng(4)
+    fresh = lambda n: [f"w{v}" for v in g.integers(0, 10**9, n)]
+    same = fresh(51)
+    pieces = [fresh(40) + same[i : i + 20] + fresh(40) for i in range(32)]
+    texts = [(i, " ".join(p)) for i, p in enumerate(pieces)] + [(1000 + i, " ".join(p)) for i, p in enumerate(fresh(40) + same[i : i + 20] + fresh(30) for i in range(32))]
+    texts += [(i, " ".join(fresh(30) + same + fresh(20))) for i in (100, 200, 300)]
+    pairs = {(r["doc_id"], r["other_id"]) for r in passages.repeated_passages(docs_of(spark, texts)).collect()}
+    assert pairs == {(200, 100), (300, 100)}
+
+
 # --- licenses
 
 
