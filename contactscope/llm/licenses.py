@@ -2,8 +2,8 @@
 
 Lines with a license cue, joined with near neighbours, are the candidate blocks of a text. A block is compressed once alone
 and once with each license template as zstandard raw-content dictionary: the template that shrinks it most is the one
-whose wording it repeats. The best `ranked` templates are then compared word by word, and the first whose wording covers the block, or
-that the block covers, wins; the words missing from the template and foreign to it are reported exactly.
+whose wording it repeats. All templates that shrink it, and the best `ranked` anyway, are then compared word by word; the one whose wording covers
+the block, or that the block covers, wins, and what lies outside its match is scanned again, so a block has a row for each license; the words missing from the template and foreign to it are reported exactly.
 
 Defined results: null or cue-free text gives no rows; a block without a confirmed template keeps its best-ranked one with confirmed = false; ties in the
 reduction go to the first template by name; repeated rows are scanned each; further columns are not read.
@@ -101,33 +101,81 @@ class Scanner:
         alone = len(self.plain.compress(block))
         return sorted(((1 - len(self.with_dict[k].compress(block)) / alone, k) for k in self.names), key=lambda x: (-x[0], x[1]))
 
-    def differences(self, block: bytes, name: str) -> tuple[float, list[str], list[str]]:
-        """Share of the shorter side's words that the other repeats in order; template words that are missing
-        inside the matched range, and words of the block that are foreign to the template."""
-        own, known = WORD.findall(block.decode("utf-8", "replace").lower()), self.words[name]
+    def differences(self, block: bytes, name: str) -> tuple[float, list[str], list[str], tuple[int, int]]:
+        """Share of the shorter side's words that the other repeats in order and close together; template words that are missing
+        inside the matched range, words of the block that are foreign to the template, and the matched characters."""
+        text, known = block.decode("utf-8", "replace"), self.words[name]
+        places = [m.span() for m in WORD.finditer(text)]
+        own = [text[s:e].lower() for s, e in places]
         ops = SequenceMatcher(None, known, own, autojunk=False).get_opcodes()
-        same = sum(b - a for tag, a, b, _, _ in ops if tag == "equal")
-        inside = [(tag, a, b, c, d) for tag, a, b, c, d in ops if tag != "equal"]
-        hit = [(a, b) for tag, a, b, _, _ in ops if tag == "equal"]
-        low, high = (hit[0][0], hit[-1][1]) if hit else (0, 0)
-        missing = [w for tag, a, b, _, _ in inside if low <= a and b <= high for w in known[a:b]]
-        foreign = [w for _, _, _, c, d in inside for w in own[c:d]]
-        return same / max(1, min(len(own), len(known))), missing, foreign
-
-    def _verdict(self, block: bytes) -> tuple:
+        # the stretch of steps with most equal words, less half a word for each other one between them
+        best, held, start, part = 0.0, 0.0, 0, (0, 0)
+        for i, (tag, a, b, c, d) in enumerate(ops):
+            if tag != "equal":
+                held -= max(b - a, d - c) / 2
+                continue
+            if held <= 0:
+                held, start = 0.0, i
+            held += b - a
+            if held > best:
+                best, part = held, (start, i + 1)
+        hit = ops[part[0] : part[1]]
+        same = sum(b - a for tag, a, b, _, _ in hit if tag == "equal")
+        missing = [w for tag, a, b, _, _ in hit if tag != "equal" for w in known[a:b]]
+        low, high = (hit[0][3], hit[-1][4]) if hit else (0, 0)
+        foreign = own[:low] + [w for tag, _, _, c, d in hit if tag != "equal" for w in own[c:d]] + own[high:]
+        return same / max(1, min(len(own), len(known))), missing, foreign, (places[low][0], places[high - 1][1]) if high > low else (0, 0)
+
+    def _best(self, block: bytes) -> tuple[tuple, tuple[int, int], list[str]]:
         order = self.reductions(block)
         best = None
-        for gain, name in order[: self.ranked]:
-            covered, missing, foreign = self.differences(block, name)
+        for i, (gain, name) in enumerate(order):
+            if gain <= 0 and i >= self.ranked:
+                break
+            covered, missing, foreign, at = self.differences(block, name)
             sure = gain > 0 and covered >= self.confirm
             key = (sure, covered - 0.01 * (len(missing) + len(foreign)) if sure else 0)
             if best is None or key > best[0]:
-                best = (key, (name, round(gain, 6), sure, round(covered, 6), missing, foreign))
-        return (*best[1], [name for _, name in order[: self.ranked]])
+                best = (key, (name, round(gain, 6), sure, round(covered, 6), missing, foreign), at)
+        return best[1], best[2], [name for _, name in order[: self.ranked]]
+
+    def _verdict(self, block: bytes) -> list[tuple]:
+        """One entry per confirmed license, in order of confirmation, else the best-ranked template's: what is left on both sides of a
+        match is scanned again, as a whole and then by lines."""
+        row, at, ranking = self._best(block)
+        found = [(*row, ranking)]
+        todo = self._rest(block, at) if row[2] else self._lines(block)
+        while todo:
+            part = todo.pop(0)
+            more, at, ranking = self._best(part)
+            if more[2]:
+                if not row[2]:
+                    found, row = [], more
+                if all(more[0] != f[0] for f in found):
+                    found.append((*more, ranking))
+                todo += self._rest(part, at)
+            else:
+                todo += self._lines(part)
+        return found
+
+    @staticmethod
+    def _rest(block: bytes, at: tuple[int, int]) -> list[bytes]:
+        text = block.decode("utf-8", "replace")
+        return [p for p in (text[: at[0]].encode(), text[at[1] :].encode()) if Scanner._scanned(p)]
+
+    @staticmethod
+    def _lines(block: bytes) -> list[bytes]:
+        lines = block.strip(b"\n").split(b"\n")
+        return [p for p in lines if Scanner._scanned(p)] if len(lines) > 1 else []
+
+    @staticmethod
+    def _scanned(part: bytes) -> bool:
+        """A remainder of a few words is in any template."""
+        return bool(CUE.search(part)) and len(WORD.findall(part.decode("utf-8", "replace"))) >= 4
 
 
 def scan(docs: DataFrame, templates: dict[str, str] | None = None, level: int = 3, ranked: int = 3, confirm: float = 0.8) -> DataFrame:
-    """One row of FOUND per candidate block."""
+    """Rows of FOUND: one per confirmed license of a candidate block, or one for a block without any."""
     templates = templates or TEMPLATES
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -139,7 +187,7 @@ def scan(docs: DataFrame, templates: dict[str, str] | None = None, level: int =
             for doc, text in zip(b.column("doc_id").to_pylist(), b.column("text").cast(pa.binary()), strict=True):
                 data = text.as_py() or b""
                 for n, (s, e) in enumerate(blocks(data)):
-                    out.append((doc, n, s, e, *scanner.verdict(data[s:e])))
+                    out += [(doc, n, s, e, *v) for v in scanner.verdict(data[s:e])]
             yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], t) for i, t in enumerate(kinds)], names)
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(run, FOUND)

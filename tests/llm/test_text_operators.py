@@ -369,6 +369,22 @@ def test_license_blocks(spark):
     assert licenses.scan(docs_of(spark, [])).count() == 0
 
 
+def test_all_licenses_of_a_block_are_reported():
+    s = licenses.Scanner(licenses.TEMPLATES, 3, 3, 0.8)
+    names = lambda text: {v[0] for v in s.verdict(text.encode()) if v[2]}
+    t = licenses.TEMPLATES
+    assert names("Licensed under CC BY-NC 4.0.\nx\nLicensed under the Apache License, Version 2.0.") == {"CC-BY-NC-4.0 notice", "Apache-2.0 notice"}
+    assert names(t["MIT"] + "\n" + t["Apache-2.0"]) == {"MIT", "Apache-2.0"}
+    for name in ("MIT", "Apache-2.0", "BSD-2-Clause", "BSD-3-Clause", "GPL-3.0", "MIT notice", "BSD notice"):
+        assert names(t[name]) == {name}
+    r = random.Random(6)
+    for _ in range(40):
+        prose = " ".join("".join(r.choice("etaoinshrdlu") for _ in range(r.randrange(2, 9))) for _ in range(290))
+        at = prose.index(" ", 800)
+        for name in ("MIT notice", "BSD notice"):
+            assert names(f"{prose[:at]} {t[name]} {prose[at:]}") == {name}
+
+
 def test_license_ranking_is_by_reduction():
     s = licenses.Scanner(licenses.TEMPLATES, 3, 3, 0.8)
     for name in ("MIT", "Apache-2.0", "GPL-3.0", "BSD-3-Clause", "MPL-2.0"):
