@@ -106,15 +106,21 @@ def companions(fixes: DataFrame, slot_s: int = 60, eps: float = 50.0, min_len: i
     return near.withColumn("run", run).groupBy("a", "b", "run").agg(F.min("k").alias("first_slot"), F.count("*").alias("slots")).where(F.col("slots") >= min_len).drop("run")
 
 
-def companion_groups(pairs: DataFrame, min_size: int = 3, rounds: int = 50) -> DataFrame:
-    """track_id, group_id (its smallest track): tracks joined by companion pairs, groups of at least min_size. Smallest labels spread along pairs;
-    every round is written to the shared folder."""
+def companion_groups(pairs: DataFrame, min_size: int = 3) -> DataFrame:
+    """track_id, group_id (its smallest track): tracks joined by companion pairs, groups of at least min_size. Smallest labels spread along pairs,
+    and a track's label also takes the label of the track that it names, so that long chains need few rounds; until nothing moves.
+    Every round is written to the shared folder."""
     from contactscope.workspace import stored
 
     edges = stored(pairs.select("a", "b").unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct(), "edges")
     labels = stored(edges.groupBy(F.col("a").alias("track_id")).agg(F.least(F.min("b"), F.first("a")).alias("group_id")), "labels")
-    for _ in range(rounds):
-        spread = edges.join(labels, edges.a == labels.track_id).groupBy(F.col("b").alias("track_id")).agg(F.min("group_id").alias("g"))
+    while True:
+        own = labels.select(F.col("track_id").alias("named"), F.col("group_id").alias("g"))
+        jumps = labels.join(own, labels.group_id == own.named).select("track_id", "g")
+        near = edges.join(labels, edges.a == labels.track_id).select(F.col("b").alias("track_id"), F.col("group_id").alias("g"))
+        # a track's label is told to the track that it named too, so that whole branches move at once
+        told = near.join(labels, "track_id").select(F.col("group_id").alias("track_id"), "g")
+        spread = near.unionByName(jumps).unionByName(told).groupBy("track_id").agg(F.min("g").alias("g"))
         after = stored(labels.join(spread, "track_id").select("track_id", F.least("group_id", "g").alias("group_id"), (F.col("g") < F.col("group_id")).alias("moved")), "labels")
         labels = after.drop("moved")
         if after.where("moved").isEmpty():

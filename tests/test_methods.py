@@ -150,6 +150,14 @@ def test_companion_groups_of_three(spark):
     assert got == {(1, 1), (2, 1), (3, 1)}
 
 
+def test_companion_groups_of_a_long_chain(spark):
+    from contactscope.operators import compare
+
+    pairs = spark.createDataFrame([(i, i + 1) for i in range(120)] + [(500, 501), (501, 502)], "a long, b long")
+    got = {(r["track_id"], r["group_id"]) for r in compare.companion_groups(pairs, 3).collect()}
+    assert got == {(i, 0) for i in range(121)} | {(500, 500), (501, 500), (502, 500)}
+
+
 def test_entry_runs(spark):
     import __spark_entry__
 
