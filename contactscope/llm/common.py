@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import re
 import shutil
 import tempfile
 import uuid
@@ -12,7 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 #: Most rows of an id list that is broadcast; longer lists are joined by shuffle.
-MAX_BROADCAST_IDS = 2_000_000
+MAX_BROADCAST_IDS = 500_000
 
 
 def work_dir(spark: SparkSession) -> str:
@@ -59,13 +60,15 @@ def without_ids(docs: DataFrame, dropped: DataFrame, key: str = "doc_id", rows:
     return docs.join(bounded(dropped), key, "left_anti").select(*docs.columns)
 
 
-def pieces(data: bytes, size: int = 1 << 20, blanks: bytes = b" \n\t\r\x0b\x0c") -> Iterator[bytes]:
+BLANK = re.compile(rb"[ \n\t\r\x0b\x0c]")
+
+
+def pieces(data: bytes, size: int = 1 << 20) -> Iterator[bytes]:
     """data in pieces of about size bytes, cut behind white space; a longer run without any stays whole."""
     at = 0
     while len(data) - at > size:
-        end = at + size
-        while end < len(data) and data[end - 1] not in blanks:
-            end += 1
+        cut = BLANK.search(data, at + size - 1)
+        end = cut.end() if cut else len(data)
         yield data[at:end]
         at = end
     yield data[at:] if at else data

@@ -280,8 +280,8 @@ def test_common_words():
 def test_passages_between_different_words_are_found(times, words, gap):
     g = np.random.default_rng(times)
     for _ in range(20):
-        same = g.integers(0, 65536, (times, words))
-        x, y = (np.concatenate([np.concatenate((p, g.integers(0, 65536, gap))) for p in same]).astype(np.uint16) for _ in range(2))
+        same = g.integers(0, 1 << 32, (times, words))
+        x, y = (np.concatenate([np.concatenate((p, g.integers(0, 1 << 32, gap))) for p in same]).astype(np.uint32) for _ in range(2))
         found = passages.passages(x, y)
         covered = np.zeros(len(x), bool)
         for xs, xe, ys, ye, equal in found:
@@ -293,20 +293,20 @@ def test_passages_between_different_words_are_found(times, words, gap):
 @pytest.mark.parametrize("repeats", [64, 65, 200])
 def test_every_repeat_of_a_footer_is_found(repeats):
     g = np.random.default_rng(repeats)
-    fresh = lambda n: g.integers(0, 65536, n)
+    fresh = lambda n: g.integers(0, 1 << 32, n)
     footer = fresh(60)
-    x = np.concatenate([np.concatenate((fresh(50), footer)) for _ in range(repeats)]).astype(np.uint16)
-    y = np.concatenate((fresh(70), footer, fresh(70))).astype(np.uint16)
+    x = np.concatenate([np.concatenate((fresh(50), footer)) for _ in range(repeats)]).astype(np.uint32)
+    y = np.concatenate((fresh(70), footer, fresh(70))).astype(np.uint32)
     found = passages.passages(x, y)
     assert all(any(s <= i * 110 + 50 and i * 110 + 110 <= e for s, e, *_ in found) for i in range(repeats))
 
 
 def test_stray_seeds_do_not_hide_repeats():
     g = np.random.default_rng(3)
-    fresh = lambda n: g.integers(0, 65536, n)
+    fresh = lambda n: g.integers(0, 1 << 32, n)
     same = fresh(60)
     for at in range(0, 50, 5):
-        x, y = (np.concatenate([same[at : at + 10 * stray]] + [np.concatenate((fresh(50), same)) for _ in range(n)]).astype(np.uint16) for n, stray in ((9, 1), (8, 0)))
+        x, y = (np.concatenate([same[at : at + 10 * stray]] + [np.concatenate((fresh(50), same)) for _ in range(n)]).astype(np.uint32) for n, stray in ((9, 1), (8, 0)))
         found = passages.passages(x, y)
         assert all(any(s <= 10 + i * 110 + 50 and 10 + i * 110 + 110 <= e for s, e, *_ in found) for i in range(9))
 
@@ -314,21 +314,123 @@ def test_stray_seeds_do_not_hide_repeats():
 @pytest.mark.parametrize("most", [1, 7, 10**6])
 def test_matches_are_all_pairs_of_equal_seeds(most):
     g = np.random.default_rng(most)
-    x, y = (g.integers(0, 2, n).astype(np.uint16) for n in (300, 200))
+    x, y = (g.integers(0, 2, n).astype(np.uint32) for n in (300, 200))
     (hx, px), (hy, py) = passages.seeds(x), passages.seeds(y)
     want = sorted((int(a), int(b)) for a, s in zip(px, hx) for b, t in zip(py, hy) if s == t)
-    assert sorted((int(a), int(b)) for m in passages.matches(x, y, 5, 16, most) for a, b in zip(*m)) == want
+    got = passages.matches((hx, px), passages.by_hash((hy, py)), most)
+    assert sorted((int(a), int(b)) for m in got for a, b in zip(*m)) == want
 
 
 def test_exact_windows_are_those_of_the_definition():
     g = np.random.default_rng(8)
-    same = g.integers(0, 65536, 51)
-    docs = [np.concatenate((g.integers(0, 65536, g.integers(0, 80)), same, g.integers(0, 65536, 9))).astype(np.uint16) for _ in range(20)]
+    same = g.integers(0, 1 << 32, 51).astype(np.uint32)
+    docs = [np.concatenate((g.integers(0, 1 << 32, g.integers(0, 80)), same, g.integers(0, 1 << 32, 9))).astype(np.uint32) for _ in range(20)]
     seeds = [set(passages.seeds(d)[0].tolist()) for d in docs]
-    for x, own in zip(docs, seeds):
-        shared = np.array(sorted(q for q in own if sum(q in o for o in seeds) > 1), np.uint64)
-        keys = passages.exact_keys(x, shared, 5, 16, 50)
-        assert 2 <= len(keys) <= len(x) - 49 and set(passages.exact_keys(same.astype(np.uint16), shared, 5, 16, 50).tolist()) <= set(keys.tolist())
+    shared = np.array(sorted(q for q in set().union(*seeds) if sum(q in o for o in seeds) > 1), np.uint64)
+    inner = set(passages.exact_keys(same, shared).tolist())
+    assert len(inner) == 2
+    for x in docs:
+        keys = set(passages.exact_keys(x, shared).tolist())
+        assert inner <= keys and len(keys) <= len(x) - 49
+
+
+def test_word_hashes_follow_the_words():
+    r = random.Random(12)
+    parts = ["a", "B", "é", "12", " ", "  ", "-", "\n", "_", "Zz", "東京"]
+    texts = ["", " ", *("".join(r.choice(parts) for _ in range(r.randrange(40))) for _ in range(200)), "ab " * 150_000 + "x", "x" * 300_000]
+    known = {}
+    for t, hashes in zip(texts, passages.Hasher().texts([t.encode() for t in texts])):
+        words = decontaminate.words_of(t.encode())
+        assert len(words) == len(hashes)
+        assert all(known.setdefault(w, h) == h for w, h in zip(words, hashes.tolist()))
+    assert len(set(known.values())) == len(known)
+
+
+def test_seeds_of_an_intact_run_are_seeds_in_every_text():
+    g = np.random.default_rng(21)
+    for _ in range(50):
+        same = g.integers(0, 1 << 32, 50).astype(np.uint32)
+        x, y = (np.concatenate((g.integers(0, 1 << 32, 30), same, g.integers(0, 1 << 32, 30))).astype(np.uint32) for _ in range(2))
+        inner = [{(int(h), int(a)) for h, a in zip(*passages.seeds(t)) if 30 + 15 <= a <= 75 - 15} for t in (x, y)]
+        assert inner[0] == inner[1] and inner[0]
+
+
+@pytest.mark.parametrize("words", [50, 80])
+def test_fuzzy_passages_of_two_texts(words):
+    """A fifth of the words replaced at random places but the ends: the least identity, found nearly always."""
+    g = np.random.default_rng(words)
+    fresh = lambda n: g.integers(0, 1 << 32, n).astype(np.uint32)
+    found = 0
+    for _ in range(200):
+        same = fresh(words)
+        other = same.copy()
+        other[1 + g.choice(words - 2, words // 5, replace=False)] = fresh(words // 5)
+        found += bool(passages.passages(np.concatenate((fresh(60), same, fresh(60))), np.concatenate((fresh(33), other, fresh(60)))))
+    assert found >= 0.93 * 200
+
+
+def windows_of(words, n=50):
+    return {tuple(words[i : i + n]) for i in range(len(words) - n + 1)}
+
+
+def best_stretch(x, y, n=50):
+    """Most equal words of any n words of both on one diagonal that begin and end with equal ones."""
+    best = 0
+    for d in range(n - len(x), len(y) - n + 1):
+        s = max(0, -d)
+        same = x[s : len(y) - d] == y[s + d : len(x) + d]
+        ends = same[n - 1 :] & same[: len(same) - n + 1]
+        if ends.any():
+            equal = np.concatenate(([0], np.cumsum(same)))
+            best = max(best, int((equal[n:] - equal[:-n])[ends].max()))
+    return best
+
+
+def test_passages_of_all_pairs(spark):
+    """All pairs of texts by force: texts with 50 equal words in a row are linked, directly or to one that has these words; of those with 40 equal
+    words in 50 on one diagonal, nine in ten at least; and every passage that is returned has the words that it claims."""
+    docs = spark.read.parquet(f"{SF}/documents.parquet").collect()
+    words = {r["doc_id"]: decontaminate.words_of((r["text"] or "").encode()) for r in docs}
+    rows = queries.op8_repeated_passages(spark, SF).collect()
+    linked = {d: {d} for d in words}
+    for r in rows:
+        linked[r["doc_id"]].add(r["other_id"])
+        linked[r["other_id"]].add(r["doc_id"])
+        a, b = words[r["doc_id"]][r["start_word"] : r["end_word"]], words[r["other_id"]][r["other_start"] : r["other_end"]]
+        assert min(len(a), len(b)) >= 50 and r["matched"] >= 0.8 * max(len(a), len(b)) and r["identity"] == round(r["matched"] / max(len(a), len(b)), 6)
+        ids = {w: i for i, w in enumerate(sorted({*a, *b}))}
+        if max(len(a), len(b)) < 2000:
+            assert r["matched"] <= passages.common_words(np.array([ids[w] for w in a]), np.array([ids[w] for w in b]))
+    longer = [d for d in sorted(words) if len(words[d]) >= 50]
+    holders = {}
+    for d in longer:
+        for w in windows_of(words[d]):
+            holders.setdefault(w, []).append(d)
+    shared = [h for h in holders.values() if len(h) > 1]
+    assert shared
+    for h in shared:
+        assert any(all(x == y or y in linked[x] for y in h) for x in h)
+    number = {w: i for i, w in enumerate(sorted({w for d in longer for w in words[d]}))}
+    arrays = {d: np.array([number[w] for w in words[d]]) for d in longer}
+    counts = {d: np.bincount(v, minlength=len(number)) for d, v in arrays.items()}
+    want = got = 0
+    for i, x in enumerate(longer):
+        for y in longer[:i]:
+            if np.minimum(counts[x], counts[y]).sum() >= 40 and best_stretch(arrays[x], arrays[y]) >= 40:
+                want += 1
+                got += y in linked[x] or bool(linked[x] & linked[y])
+    assert want and got >= 0.9 * want
+
+
+def test_passage_of_two_texts_between_scraps_of_it(spark):
+    g = np.random.default_rng(31)
+    fresh = lambda n: [f"w{v}" for v in g.integers(0, 10**9, n)]
+    same = fresh(80)
+    texts = [(0, fresh(30) + same[:40]), (3, same[40:] + fresh(30)), (1, fresh(20) + same), (2, same + fresh(20))]
+    texts += [(10 + i, fresh(30) + same[i : i + 40]) for i in range(0, 40, 4)] + [(100 + i, fresh(30) + same[i : i + 40]) for i in range(0, 40, 4)]
+    for part in (texts[:4], texts):
+        pairs = {(r["doc_id"], r["other_id"]) for r in passages.repeated_passages(docs_of(spark, [(i, " ".join(t)) for i, t in part])).collect()}
+        assert pairs == {(2, 1)}
 
 
 def test_exact_passages_behind_strangers_are_found(spark):
@@ -339,7 +441,7 @@ def test_exact_passages_behind_strangers_are_found(spark):
     texts = [(i, " ".join(p)) for i, p in enumerate(pieces)] + [(1000 + i, " ".join(p)) for i, p in enumerate(fresh(40) + same[i : i + 20] + fresh(30) for i in range(32))]
     texts += [(i, " ".join(fresh(30) + same + fresh(20))) for i in (100, 200, 300)]
     pairs = {(r["doc_id"], r["other_id"]) for r in passages.repeated_passages(docs_of(spark, texts)).collect()}
-    assert pairs == {(200, 100), (300, 100)}
+    assert {(200, 100), (300, 100)} <= pairs <= {(200, 100), (300, 100), (300, 200)}
 
 
 # --- licenses
