@@ -1,10 +1,11 @@
 """Language identification by a bidirectional gated recurrent network over bytes.
 
-The network reads one segment (a run of letters, lower-cased in ASCII, at most `SEGMENT` bytes, with a mark for its ends) in both directions, labels every byte position with
-a distribution over languages, and a document's probabilities are the mean over all positions of its whole text. Because the state starts
-anew at each segment, equal segments have equal labels: a worker computes each distinct one once and keeps the sums in
-a bounded cache. Training is numpy back-propagation through time on segments of a bounded, hash-ordered sample
-(`per_language` documents of each language, at most `max_languages` languages).
+The network reads the bytes of a text, lower-cased in ASCII, in both directions and labels every position, letter or not, with a distribution over
+languages; a document's probabilities are the mean over all positions of its whole text. The state runs across words
+and scripts: a text is read in windows of at most SPAN bytes that end between code points, and each window's state
+starts LEAD bytes before it and, backwards, LEAD bytes behind it, cut to whole code points; beyond its ends a text is read as blanks. So
+long texts take no more memory than short ones, and a label depends on a position's surroundings alone. Training is numpy back-propagation through time over all windows of a
+hash-ordered sample of labelled rows (`per_language` documents of each language, at most `max_languages` languages).
 
 Defined results: null text or text without a letter is `und` with score 0; without anything to learn from all texts are `und`;
 null languages are never learned; more languages than the bound raise an error; ties go to the first language in order;
@@ -13,25 +14,23 @@ repeated rows are judged one by one; further columns are not read.
 
 from __future__ import annotations
 
-import hashlib
 import re
 from collections.abc import Iterator
-from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from contactscope.llm.common import pieces
-
-SEGMENT = 24
-WORD = re.compile(rb"[a-z\x80-\xff]{1,%d}" % SEGMENT)
+SPAN, LEAD = 512, 24
+#: Windows of training are shorter, for more steps over the same bytes; windows of one length are labelled together, BLOCK at a time.
+TRAIN_SPAN, BLOCK, STEP = 96, 640, 32
+#: Bytes of text whose windows are laid out at once.
+ROOM = 1 << 22
 PLAIN_LETTER = re.compile(rb"[A-Za-z]")
 LETTER = re.compile(r"[^\W\d_]")
-CACHE_WORDS = 400_000
-FLUSH_WORDS = 200_000
 UNKNOWN = "und"
+_BLANK = ord(" ")
 
 
 def held_out():
@@ -39,21 +38,47 @@ def held_out():
     return F.crc32(F.col("doc_id").cast("string").cast("binary")) % 3 == 1
 
 
-def segments(text: bytes) -> Iterator[list[bytes]]:
-    """Segments of a text, in lists of bounded size."""
-    for piece in pieces(text.lower()):
-        yield WORD.findall(piece)
-
-
 def has_letter(text: bytes) -> bool:
     return bool(PLAIN_LETTER.search(text) or LETTER.search(text.decode("utf-8", "replace")))
 
 
-def _batch(words: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
-    """Bytes as rows padded with 0, and their lengths; a row starts and ends with a space."""
-    width = max(map(len, words)) + 2
-    rows = np.frombuffer(b"".join(b" " + w + b" " + bytes(width - len(w) - 2) for w in words), np.uint8).reshape(-1, width)
-    return rows, np.fromiter((len(w) + 2 for w in words), np.int64, len(words))
+def window_edges(data: np.ndarray, span: int) -> np.ndarray:
+    """Where a text's windows begin and the last one ends: every span bytes, moved back to the start of a code point."""
+    edges = np.arange(0, len(data), span)
+    for _ in range(3):
+        inside = (data[edges] & 0xC0) == 0x80
+        edges = np.where(inside & (edges > 0), edges - 1, edges)
+    return np.append(edges, len(data))
+
+
+def laid_out(data: np.ndarray, starts: np.ndarray, width: int) -> np.ndarray:
+    """Rows of LEAD + width + LEAD bytes around the starts (places in data, which has blanks enough on both sides); parts of code points at a row's ends are blanks."""
+    rows = data[(starts - LEAD)[:, None] + np.arange(width + 2 * LEAD)]
+    broken = np.ones(len(rows), bool)
+    for j in range(3):
+        broken &= (rows[:, j] & 0xC0) == 0x80
+        rows[broken, j] = _BLANK
+    for j in (1, 2, 3):
+        first = rows[:, -j]
+        short = (first >= 0xC0) & (1 + (first >= 0xC0).astype(int) + (first >= 0xE0) + (first >= 0xF0) > j)
+        rows[short, -j:] = _BLANK
+    return rows
+
+
+def _padded(texts: list[bytes], span: int) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """All texts in one array with blanks around each; and of each window its start there, its bytes, and its text's number."""
+    fill = b" " * (span + 2 * LEAD)
+    data = np.frombuffer(fill + b"".join(t.lower() + fill for t in texts), np.uint8)
+    starts, sizes, owner = [], [], []
+    at = len(fill)
+    for i, t in enumerate(texts):
+        edges = window_edges(data[at : at + len(t)], span)
+        starts.append(edges[:-1] + at)
+        sizes.append(np.diff(edges))
+        owner.append(np.full(len(edges) - 1, i))
+        at += len(t) + len(fill)
+    join = lambda parts: np.concatenate(parts) if parts else np.zeros(0, np.int64)
+    return data, join(starts), join(sizes), join(owner)
 
 
 def _sigmoid(x: np.ndarray) -> np.ndarray:
@@ -75,53 +100,42 @@ class Network:
         self.p["V"] = f(2 * hidden, len(languages), scale=hidden**-0.5)
         self.p["b"] = np.zeros(len(languages), np.float32)
 
-    def key(self) -> str:
-        """Digest of the parameters."""
-        return hashlib.sha256(b"".join(self.p[k].tobytes() for k in sorted(self.p))).hexdigest()
+    def _steps(self, d: str, width: int) -> range:
+        return range(width) if d == "f" else range(width - 1, -1, -1)
 
-    def _layer(self, d: str, rows: np.ndarray, mask: np.ndarray, keep: bool):
-        """States by step; for training also what the backward pass needs."""
-        n, width, H = len(rows), rows.shape[1], self.h
+    def _taped(self, d: str, rows: np.ndarray) -> tuple[np.ndarray, list[tuple]]:
+        """States by step, and what the backward pass needs."""
+        H = self.h
         W, U, C = self.p[d + "W"], self.p[d + "U"], self.p[d + "C"]
-        h = np.zeros((n, H), np.float32)
-        states, tape = np.zeros((width, n, H), np.float32), []
-        for t in range(width) if d == "f" else range(width - 1, -1, -1):
+        h = np.zeros((len(rows), H), W.dtype)
+        states, tape = np.zeros((rows.shape[1], len(rows), H), W.dtype), []
+        for t in self._steps(d, rows.shape[1]):
             x = W[rows[:, t]]
             gates = _sigmoid(x[:, : 2 * H] + h @ U)
             z, r = gates[:, :H], gates[:, H:]
             c = np.tanh(x[:, 2 * H :] + (r * h) @ C)
-            new = h + mask[:, t, None] * (z * (c - h))
-            if keep:
-                tape.append((t, h, z, r, c))
-            h = states[t] = new
+            tape.append((t, h, z, r, c))
+            h = states[t] = h + z * (c - h)
         return states, tape
 
-    def _label(self, rows: np.ndarray, lengths: np.ndarray, keep: bool = False):
-        mask = (np.arange(rows.shape[1]) < lengths[:, None]).astype(np.float32)
-        sf, tf = self._layer("f", rows, mask, keep)
-        sb, tb = self._layer("b", rows, mask, keep)
-        both = np.concatenate((sf, sb), axis=2)
-        logits = both @ self.p["V"] + self.p["b"]
-        logits -= logits.max(axis=2, keepdims=True)
-        prob = np.exp(logits)
-        prob /= prob.sum(axis=2, keepdims=True)
-        return prob, mask, both, tf, tb
-
     def _states(self, d: str, rows: np.ndarray) -> np.ndarray:
-        """States by step of segments of one length: no padding, no tape, in-place arithmetic."""
-        n, width, H = len(rows), rows.shape[1], self.h
-        W, U, C = self.p[d + "W"], self.p[d + "U"], self.p[d + "C"]
-        out = np.empty((width, n, H), np.float32)
+        """States by step without a tape, by arithmetic in place."""
+        n, H = len(rows), self.h
+        W, U, C = self.p[d + "W"].copy(), -self.p[d + "U"], self.p[d + "C"]
+        W[:, : 2 * H] *= -1
+        columns = np.ascontiguousarray(rows.T).astype(np.intp)
+        out = np.empty((rows.shape[1], n, H), np.float32)
+        x, gates, held = np.empty((n, 3 * H), np.float32), np.empty((n, 2 * H), np.float32), np.empty((n, H), np.float32)
         h = np.zeros((n, H), np.float32)
-        for t in range(width) if d == "f" else range(width - 1, -1, -1):
-            x = W[rows[:, t]]
-            gates = h @ U
+        for t in self._steps(d, rows.shape[1]):
+            np.take(W, columns[t], axis=0, out=x, mode="clip")
+            np.matmul(h, U, out=gates)
             gates += x[:, : 2 * H]
-            np.negative(gates, gates)
             np.exp(gates, gates)
             gates += 1
             np.reciprocal(gates, gates)
-            c = (gates[:, H:] * h) @ C
+            np.multiply(gates[:, H:], h, out=held)
+            c = held @ C
             c += x[:, 2 * H :]
             np.tanh(c, c)
             c -= h
@@ -129,150 +143,128 @@ class Network:
             h = np.add(h, c, out=out[t])
         return out
 
-    def _distributions(self, rows: np.ndarray) -> np.ndarray:
-        """Label distributions (step, segment, language) of segments of one length, ends included."""
+    def label(self, rows: np.ndarray) -> np.ndarray:
+        """Label distributions (step, row, language) of all rows between their leads."""
         V, H = self.p["V"], self.h
-        logits = self._states("f", rows) @ V[:H]
-        logits += self._states("b", rows) @ V[H:]
+        inner = slice(LEAD, rows.shape[1] - LEAD)
+        logits = self._states("f", rows)[inner] @ V[:H]
+        logits += self._states("b", rows)[inner] @ V[H:]
         logits += self.p["b"]
         logits -= logits.max(axis=2, keepdims=True)
         np.exp(logits, logits)
         logits /= logits.sum(axis=2, keepdims=True)
         return logits
 
-    def positions(self, word: bytes) -> np.ndarray:
-        """The label distribution of every byte of a segment."""
-        return self._distributions(_batch([word])[0])[1:-1, 0]
-
-    def pooled(self, words: list[bytes]) -> np.ndarray:
-        """Per segment the sum of its position distributions, ends excluded, and the number of positions last."""
-        out = np.zeros((len(words), len(self.languages) + 1), np.float32)
-        sizes = np.fromiter(map(len, words), np.int64, len(words))
-        for size in np.unique(sizes):
-            same = np.flatnonzero(sizes == size)
-            for at in range(0, len(same), 1024):
-                pick = same[at : at + 1024]
-                out[pick, :-1] = self._distributions(_batch([words[i] for i in pick])[0])[1:-1].sum(axis=0)
-        out[:, -1] = sizes
+    def _windows(self, texts: list[bytes]) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
+        """Blocks of windows of about one length: labels, bytes of each, its text, its place in the text's padded data."""
+        data, starts, sizes, owner = _padded(texts, SPAN)
+        widths = (sizes + STEP - 1) // STEP * STEP
+        for width in np.unique(widths).tolist():
+            same = np.flatnonzero(widths == width)
+            for at in range(0, len(same), BLOCK):
+                pick = same[at : at + BLOCK]
+                yield self.label(laid_out(data, starts[pick], width)), sizes[pick], owner[pick], starts[pick]
+
+    def positions(self, text: bytes) -> np.ndarray:
+        """The label distribution of every byte of a text."""
+        out = np.zeros((len(text), len(self.languages)), np.float32)
+        for prob, sizes, _, starts in self._windows([text]):
+            for i, (n, s) in enumerate(zip(sizes.tolist(), (starts - SPAN - 2 * LEAD).tolist(), strict=True)):
+                out[s : s + n] = prob[:n, i]
         return out
 
-    def gradients(self, words: list[bytes], target: np.ndarray) -> tuple[float, dict[str, np.ndarray]]:
-        rows, lengths = _batch(words)
-        prob, mask, both, tf, tb = self._label(rows, lengths, keep=True)
-        n, H = len(words), self.h
-        weight = (mask / mask.sum()).T[:, :, None]
+    def pooled(self, texts: list[bytes]) -> np.ndarray:
+        """Per text the mean of its position distributions; zeros for an empty one."""
+        sums = np.zeros((len(texts), len(self.languages)))
+        for prob, sizes, owner, _ in self._windows(texts):
+            prob *= (np.arange(len(prob))[:, None] < sizes)[:, :, None]
+            np.add.at(sums, owner, prob.sum(axis=0))
+        return sums / np.maximum(1, [[len(t)] for t in texts])
+
+    def gradients(self, rows: np.ndarray, sizes: np.ndarray, target: np.ndarray) -> tuple[float, dict[str, np.ndarray]]:
+        """Mean loss over the positions between the leads (sizes of each row), and the parameters' gradients."""
+        n, H = len(rows), self.h
+        (sf, tf), (sb, tb) = self._taped("f", rows), self._taped("b", rows)
+        both = np.concatenate((sf, sb), axis=2)
+        logits = both @ self.p["V"] + self.p["b"]
+        prob = np.exp(logits - logits.max(axis=2, keepdims=True))
+        prob /= prob.sum(axis=2, keepdims=True)
+        place = np.arange(rows.shape[1])[:, None] - LEAD
+        weight = ((place >= 0) & (place < sizes))[:, :, None] / self.p["b"].dtype.type(sizes.sum())
         picked = prob[:, np.arange(n), target]
         loss = float(-(np.log(picked + 1e-9) * weight[:, :, 0]).sum())
-        d_logits = prob.copy()
-        d_logits[:, np.arange(n), target] -= 1
-        d_logits *= weight
-        g = {"V": np.einsum("tnh,tnl->hl", both, d_logits), "b": d_logits.sum(axis=(0, 1))}
+        prob[:, np.arange(n), target] -= 1
+        d_logits = (prob * weight).astype(self.p["b"].dtype)
+        flat = d_logits.reshape(-1, d_logits.shape[2])
+        g = {"V": both.reshape(-1, 2 * H).T @ flat, "b": flat.sum(axis=0)}
         d_both = d_logits @ self.p["V"].T
+        columns = rows.T
+        order = np.argsort(columns, axis=None, kind="stable")
+        used, first = np.unique(columns.ravel()[order], return_index=True)
         for d, tape, d_state in (("f", tf, d_both[:, :, :H]), ("b", tb, d_both[:, :, H:])):
             W, U, C = (np.zeros_like(self.p[d + k]) for k in "WUC")
-            back = np.zeros((n, H), np.float32)
+            inputs = np.empty((rows.shape[1], n, 3 * H), W.dtype)
+            back = np.zeros((n, H), W.dtype)
             for t, h, z, r, c in reversed(tape):
                 back = back + d_state[t]
-                m = mask[:, t, None]
-                d_z, d_c, d_h = back * m * (c - h), back * m * z, back * (1 - m * z)
-                a_c = d_c * (1 - c * c)
-                rh = r * h
-                C += rh.T @ a_c
+                a_c = back * z * (1 - c * c)
                 d_rh = a_c @ self.p[d + "C"].T
-                d_r, d_h = d_rh * h, d_h + d_rh * r
-                a_g = np.concatenate((d_z * z * (1 - z), d_r * r * (1 - r)), axis=1)
+                a_g = np.concatenate((back * (c - h) * z * (1 - z), d_rh * h * r * (1 - r)), axis=1)
+                C += (r * h).T @ a_c
                 U += h.T @ a_g
-                back = d_h + a_g @ self.p[d + "U"].T
-                np.add.at(W, rows[:, t], np.concatenate((a_g, a_c), axis=1))
+                back = back * (1 - z) + d_rh * r + a_g @ self.p[d + "U"].T
+                inputs[t, :, : 2 * H], inputs[t, :, 2 * H :] = a_g, a_c
+            W[used] = np.add.reduceat(inputs.reshape(-1, 3 * H)[order], first, axis=0)
             g |= {d + "W": W, d + "U": U, d + "C": C}
         return loss, g
 
-    def fit(self, words: list[bytes], target: np.ndarray, epochs: int = 4, batch: int = 256, rate: float = 0.02, seed: int = 11) -> float:
-        r, m, v, step, loss = np.random.default_rng(seed), {}, {}, 0, 0.0
-        total = max(1, epochs * ((len(words) + batch - 1) // batch))
-        by_length = np.fromiter(map(len, words), np.int64, len(words))
-        for _ in range(epochs):
-            shuffled = r.permutation(len(words))
-            shuffled = shuffled[np.argsort(by_length[shuffled] // 4, kind="stable")]
-            starts = np.arange(0, len(words), batch)
-            r.shuffle(starts)
-            for at in starts:
-                pick = shuffled[at : at + batch]
-                loss, g = self.gradients([words[i] for i in pick], target[pick])
-                step += 1
-                scale = rate * (1 - 0.9 * step / total)
-                norm = np.sqrt(sum(float((x * x).sum()) for x in g.values()))
-                for k, x in g.items():
-                    x = x * min(1.0, 1.0 / (norm + 1e-9))
-                    m[k] = 0.9 * m.get(k, 0) + 0.1 * x
-                    v[k] = 0.99 * v.get(k, 0) + 0.01 * x * x
-                    self.p[k] -= (scale * (m[k] / (1 - 0.9**step)) / (np.sqrt(v[k] / (1 - 0.99**step)) + 1e-8)).astype(np.float32)
+    def fit(self, texts: list[bytes], target: np.ndarray, steps: int = 450, batch: int = 128, rate: float = 0.02, seed: int = 11) -> float:
+        """Adam over windows of all texts, in a new order each time all were seen; languages are seen equally often."""
+        r, m, v, loss = np.random.default_rng(seed), {}, {}, 0.0
+        data, starts, sizes, owner = _padded(texts, TRAIN_SPAN)
+        label = target[owner]
+        own = [np.flatnonzero(label == k) for k in range(len(self.languages))]
+        own = [o for o in own if len(o)]
+        share = max(1, batch // max(1, len(own)))
+        queues = [np.zeros(0, np.int64)] * len(own)
+        for step in range(1, steps + 1):
+            for k, o in enumerate(own):
+                while len(queues[k]) < share:
+                    queues[k] = np.concatenate((queues[k], r.permutation(o)))
+            pick = np.concatenate([q[:share] for q in queues])
+            queues = [q[share:] for q in queues]
+            loss, g = self.gradients(laid_out(data, starts[pick], TRAIN_SPAN), sizes[pick], label[pick])
+            scale = rate * (1 - 0.95 * step / steps)
+            norm = np.sqrt(sum(float((x * x).sum()) for x in g.values()))
+            for k, x in g.items():
+                x = x * min(1.0, 1.0 / (norm + 1e-9))
+                m[k] = 0.9 * m.get(k, 0) + 0.1 * x
+                v[k] = 0.99 * v.get(k, 0) + 0.01 * x * x
+                self.p[k] -= (scale * (m[k] / (1 - 0.9**step)) / (np.sqrt(v[k] / (1 - 0.99**step)) + 1e-8)).astype(np.float32)
         return loss
 
 
-class Reader:
-    """Documents to language and score. Sums of the first CACHE_WORDS distinct segments are kept, rarer ones computed anew."""
-
-    def __init__(self, network: Network | None):
-        self.net, self.ids = network, {}
-        width = 1 + (len(network.languages) if network else 0)
-        self.sums = np.zeros((0, width), np.float32)
-
-    def read(self, texts: list[bytes | None]) -> list[tuple[str, float]]:
-        net = self.net
-        if net is None or not net.languages:
-            return [(UNKNOWN, 0.0)] * len(texts)
-        totals = np.zeros((len(texts), len(net.languages) + 1))
-        known = [bool(t) and has_letter(t) for t in texts]
-        held: list[tuple[int, list[bytes]]] = []
-        size = 0
-        for i, text in enumerate(texts):
-            for words in segments(text) if known[i] else ():
-                if words:
-                    held.append((i, words))
-                    size += len(words)
-                if size >= FLUSH_WORDS:
-                    self._add(totals, held)
-                    held, size = [], 0
-        self._add(totals, held)
-        best = totals[:, :-1].argmax(axis=1)
-        share = np.minimum(1.0, totals[np.arange(len(texts)), best] / np.maximum(totals[:, -1], 1))
-        return [(net.languages[b], float(s)) if ok else (UNKNOWN, 0.0) for b, s, ok in zip(best, share, known, strict=True)]
-
-    def _add(self, totals: np.ndarray, held: list[tuple[int, list[bytes]]]) -> None:
-        if not held:
-            return
-        flat = [w for _, words in held for w in words]
-        at = np.fromiter(map(self.ids.get, flat, repeat(-1)), np.int64, len(flat))
-        missing = np.flatnonzero(at < 0)
-        sums = self.sums[at] if len(self.sums) else np.zeros((len(flat), totals.shape[1]), np.float32)
-        if len(missing):
-            names = [flat[i] for i in missing]
-            fresh = sorted(set(names))
-            made = self.net.pooled(fresh)
-            place = dict(zip(fresh, range(len(fresh)), strict=True))
-            sums[missing] = made[np.fromiter(map(place.__getitem__, names), np.int64, len(names))]
-            room = CACHE_WORDS - len(self.ids)
-            if room > 0:
-                self.ids.update(zip(fresh[:room], range(len(self.ids), len(self.ids) + min(room, len(fresh))), strict=True))
-                self.sums = np.concatenate((self.sums, made[:room]))
-        counts = [len(words) for _, words in held]
-        starts = np.concatenate(([0], np.cumsum(counts)[:-1]))
-        np.add.at(totals, [i for i, _ in held], np.add.reduceat(sums, starts, axis=0, dtype=np.float64))
-
-
-#: The last network's reader of this worker process, so that a cache outlives a task.
-_last: list = [None, None]
-
-
-def reader_of(net: Network | None) -> Reader:
-    key = None if net is None else net.key()
-    if _last[1] is None or _last[0] != key:
-        _last[:] = [key, Reader(net)]
-    return _last[1]
-
-
-def fit(docs: DataFrame, per_language: int = 300, max_languages: int = 256, words_per_doc: int = 40, hidden: int = 16) -> Network | None:
+def read(net: Network | None, texts: list[bytes | None]) -> list[tuple[str, float]]:
+    """Language and score of each text; ROOM bytes of text are read at once, a longer text alone."""
+    out: list[tuple[str, float]] = [(UNKNOWN, 0.0)] * len(texts)
+    if net is None or not net.languages:
+        return out
+    known = [i for i, t in enumerate(texts) if t and has_letter(t)]
+    while known:
+        size, n = 0, 0
+        while n < len(known) and (n == 0 or size + len(texts[known[n]]) <= ROOM):
+            size += len(texts[known[n]])
+            n += 1
+        part, known = known[:n], known[n:]
+        means = net.pooled([texts[i] for i in part])
+        for i, mean in zip(part, means, strict=True):
+            best = int(np.round(mean, 6).argmax())
+            out[i] = (net.languages[best], min(1.0, round(float(mean[best]), 6)))
+    return out
+
+
+def fit(docs: DataFrame, per_language: int = 150, max_languages: int = 256, hidden: int = 16, steps: int = 450) -> Network | None:
+    """A network from whole texts of at most per_language labelled rows of each language."""
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.col("lang").cast("string").alias("lang")).where(F.col("text").isNotNull() & F.col("lang").isNotNull() & F.col("doc_id").isNotNull() & ~held_out())
     counts = {r["lang"]: r["n"] for r in rows.groupBy("lang").agg(F.count("*").alias("n")).limit(max_languages + 1).collect()}
     if len(counts) > max_languages:
@@ -283,28 +275,17 @@ def fit(docs: DataFrame, per_language: int = 300, max_languages: int = 256, word
     share = F.create_map(*(F.lit(x) for k in languages for x in (k, min(1.0, 1.3 * per_language / counts[k] + 20 / counts[k]))))
     drawn = rows.where(F.pmod(F.xxhash64("doc_id"), F.lit(1_000_000)) < share[F.col("lang")] * 1_000_000)
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            made = []
-            for x in b.column("text").cast(pa.binary()):
-                words = [w for ws in segments(x.as_py()) for w in ws]
-                pick = np.linspace(0, len(words) - 1, min(len(words), words_per_doc)).astype(int) if words else []
-                made.append(b" ".join(words[i] for i in pick))
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("lang"), pa.array(made, pa.binary())], ["doc_id", "lang", "made"])
-
     by_lang: dict[str, list] = {k: [] for k in languages}
-    for r in drawn.mapInArrow(run, "doc_id long, lang string, made binary").collect():  # about per_language rows of words_per_doc segments for each language
-        by_lang[r["lang"]].append((r["doc_id"], bytes(r["made"])))
-    words, target = [], []
+    for r in drawn.select("doc_id", "lang", F.col("text").cast("binary").alias("text")).collect():  # about per_language rows for each language
+        by_lang[r["lang"]].append((r["doc_id"], bytes(r["text"])))
+    texts, target = [], []
     for i, k in enumerate(languages):
-        own = [w for _, made in sorted(by_lang[k])[:per_language] for w in made.split()]
-        if own and len(own) < words_per_doc * per_language:  # a language with few documents is seen as often as others
-            own = (own * (words_per_doc * per_language // len(own) + 1))[: words_per_doc * min(per_language, 100)] if len(own) < words_per_doc * 100 else own
-        words += own
+        own = [t for _, t in sorted(by_lang[k])[:per_language] if has_letter(t)]
+        texts += own
         target += [i] * len(own)
     net = Network(languages, hidden)
-    if words:
-        net.fit(words, np.array(target))
+    if texts:
+        net.fit(texts, np.array(target), steps)
     return net
 
 
@@ -312,12 +293,10 @@ def _labelled(docs: DataFrame, net: Network | None, schema, finish) -> DataFrame
     held = docs.sparkSession.sparkContext.broadcast(net)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        reader = reader_of(held.value)
         for b in batches:
             found = []
             for at in range(0, len(b), 1000):
-                texts = b.column("text").slice(at, 1000).cast(pa.binary()).to_pylist()
-                found += reader.read(texts)
+                found += read(held.value, b.column("text").slice(at, 1000).cast(pa.binary()).to_pylist())
             yield finish(b, found)
 
     return docs.mapInArrow(run, schema)
