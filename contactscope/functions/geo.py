@@ -51,11 +51,15 @@ def boxes_meet(a: str, b: str) -> Column:
     return (c(a, "x0") <= c(b, "x1")) & (c(b, "x0") <= c(a, "x1")) & (c(a, "y0") <= c(b, "y1")) & (c(b, "y0") <= c(a, "y1")) & (c(a, "st_us") <= c(b, "et_us")) & (c(b, "st_us") <= c(a, "et_us"))
 
 
-def box_gap(a: str, b: str) -> tuple[Column, Column]:
-    """Least planar distance and least time lag (seconds) between the boxes of two aliased sides."""
-    c = lambda side, name: F.col(f"{side}.{name}")
-    zero = F.lit(0.0)
-    gx = F.greatest(zero, c(a, "x0") - c(b, "x1"), c(b, "x0") - c(a, "x1"))
-    gy = F.greatest(zero, c(a, "y0") - c(b, "y1"), c(b, "y0") - c(a, "y1"))
-    gt = F.greatest(F.lit(0), c(a, "st_us") - c(b, "et_us"), c(b, "st_us") - c(a, "et_us")) / F.lit(1e6)
-    return F.sqrt(gx * gx + gy * gy), gt
+def box_gap(a: str, b: str, p: Params) -> tuple[Column, Column]:
+    """Lower bounds of the distance (metres) and the time lag (seconds) between two boxes whose columns begin with a and b; exact in the plane. On the globe the gap in longitude
+    counts at the parallel of the two boxes that is furthest from the equator, where a degree is shortest."""
+    c = lambda side, name: F.col(f"{side}{name}")
+    apart = lambda low, high: F.greatest(F.lit(0.0), c(a, low) - c(b, high), c(b, low) - c(a, high))
+    gx, gy = apart("x0", "x1"), apart("y0", "y1")
+    gt = F.greatest(F.lit(0).cast("long"), c(a, "st_us") - c(b, "et_us"), c(b, "st_us") - c(a, "et_us")) / F.lit(1e6)
+    if p.metric == "planar":
+        return F.sqrt(gx * gx + gy * gy), gt
+    far = F.least(F.greatest(*(F.abs(c(side, name)) for side in (a, b) for name in ("y0", "y1"))), F.lit(90.0))
+    half = F.pow(F.sin(F.radians(gy) / 2), 2) + F.pow(F.cos(F.radians(far)) * F.sin(F.radians(F.least(gx, F.lit(180.0))) / 2), 2)
+    return 2 * EARTH_M * F.asin(F.sqrt(F.least(half, F.lit(1.0)))) * (1 - 1e-12), gt

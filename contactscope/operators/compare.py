@@ -31,6 +31,12 @@ def track_pairs(tracks: DataFrame, others: DataFrame | None = None) -> DataFrame
     return left.join(right, F.col("a") < F.col("b"))
 
 
+def cut_to_shorter(pairs: DataFrame) -> DataFrame:
+    """Both tracks of every pair cut to the length of the shorter one, which lock-step distance needs."""
+    n = F.least(F.size("ax"), F.size("bx"))
+    return pairs.withColumns({c: F.slice(c, F.lit(1), n) for c in ("ax", "ay", "bx", "by")})
+
+
 def euclid(pairs: DataFrame) -> DataFrame:
     """a, b, value: mean distance of places with the same number; null if the lengths differ."""
     steps = F.zip_with(F.arrays_zip("ax", "ay"), F.arrays_zip("bx", "by"), lambda p, q: F.sqrt((p["ax"] - q["bx"]) * (p["ax"] - q["bx"]) + (p["ay"] - q["by"]) * (p["ay"] - q["by"])))

@@ -61,21 +61,27 @@ def fix_pairs(case_fixes: DataFrame, fixes: DataFrame, p: Params, salts: int | N
     o = with_cells(fixes.select("track_id", "fix_id", "t_us", "x", "y"), p, salts)
     if broadcast_rows:
         c = maybe_broadcast(c, broadcast_rows)
-    on = [*CELL, "salt"]
-    d = distance(F.col("c_x"), F.col("c_y"), F.col("x"), F.col("y"), p.metric)
-    dt = lag_s(F.col("c_t"), F.col("t_us"))
-    joined = o.join(c, on).select("case_id", "seg_no", "case_fix", "track_id", d.alias("d"), dt.alias("dt"))
-    joined = joined.where(within_influence(F.col("d"), F.col("dt"), p))
-    return joined.where("case_id <> track_id") if p.exclude_self else joined
+    return in_reach(o.join(c, [*CELL, "salt"]), p)
 
 
-def fix_correlation(case_fixes: DataFrame, fixes: DataFrame, p: Params, **kw) -> DataFrame:
+def in_reach(met: DataFrame, p: Params) -> DataFrame:
+    """case_id, seg_no, case_fix, track_id, d, dt of fixes that met in a cell (c_t, c_x, c_y and t_us, x, y) and are within reach."""
+    d, dt = distance(F.col("c_x"), F.col("c_y"), F.col("x"), F.col("y"), p.metric), lag_s(F.col("c_t"), F.col("t_us"))
+    near = met.select("case_id", "seg_no", "case_fix", "track_id", d.alias("d"), dt.alias("dt")).where(within_influence(F.col("d"), F.col("dt"), p))
+    return near.where("case_id <> track_id") if p.exclude_self else near
+
+
+def best_correlation(pairs: DataFrame, p: Params) -> DataFrame:
     """case_id, seg_no, case_fix, track_id, cor: the best correlation of a case fix with any fix of the track."""
-    pairs = fix_pairs(case_fixes, fixes, p, **kw)
     cor = pair_correlation(F.col("d"), F.col("dt"), p.lam, p.theta_d, p.theta_t)
     return pairs.groupBy("case_id", "seg_no", "case_fix", "track_id").agg(F.max(cor).alias("cor"))
 
 
+def fix_correlation(case_fixes: DataFrame, fixes: DataFrame, p: Params, **kw) -> DataFrame:
+    """best_correlation of all pairs within reach."""
+    return best_correlation(fix_pairs(case_fixes, fixes, p, **kw), p)
+
+
 def segment_weight(case_segments: DataFrame) -> DataFrame:
     """case_id, seg_no, n, weight: a segment's duration plus one second, as a share of the case's sum."""
     span = (F.col("et_us") - F.col("st_us")) / F.lit(1e6) + 1.0

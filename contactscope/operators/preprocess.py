@@ -9,6 +9,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from contactscope.functions.arrays import Pace, stretches
 from contactscope.functions.geo import distance, lag_s
 
 
@@ -40,26 +41,22 @@ def speeds(fixes: DataFrame, metric: str = "planar") -> DataFrame:
 
 def drop_outliers(fixes: DataFrame, max_speed: float = 50.0, mode: str = "neighbour", metric: str = "planar") -> DataFrame:
     """neighbour: drops fixes whose hops on both sides are too fast. sequential: keeps a fix if the hop from the last kept
-    one is slow enough; state runs along the sorted track, so this one is a scan over each track's rows in Python."""
+    one is slow enough; state runs along the sorted track, in Arrow batches."""
     if mode == "neighbour":
         kept = speeds(fixes, metric).where(~((F.col("speed_in") > max_speed) & (F.col("speed_out") > max_speed)) | F.col("speed_in").isNull() | F.col("speed_out").isNull())
         return kept.drop("speed_in", "speed_out")
     if mode != "sequential":
         raise ValueError("mode is neighbour or sequential")
-    if metric != "planar":
-        raise ValueError("sequential mode is planar")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last: tuple | None = None
+        pace, track = Pace(max_speed, metric), None
         for b in batches:
-            track, t, x, y = (b.column(c).to_pylist() for c in ("track_id", "t_us", "x", "y"))
-            keep = np.zeros(len(track), bool)
-            for i in range(len(track)):
-                if last is not None and last[0] == track[i]:
-                    d, dt = ((x[i] - last[2]) ** 2 + (y[i] - last[3]) ** 2) ** 0.5, (t[i] - last[1]) / 1e6
-                    if d > max_speed * dt:
-                        continue
-                last, keep[i] = (track[i], t[i], x[i], y[i]), True
-            yield b.filter(pa.array(keep))
+            ids, t, x, y = (b.column(c).to_numpy(zero_copy_only=False) for c in ("track_id", "t_us", "x", "y"))
+            keep = [np.zeros(0, bool)]
+            for s, e in stretches(ids):
+                if ids[s] != track:
+                    track, pace.last = ids[s], None
+                keep.append(pace.feed(t[s:e], x[s:e], y[s:e]))
+            yield b.filter(pa.array(np.concatenate(keep)))
 
     return fixes.repartition("track_id").sortWithinPartitions("track_id", "t_us", "fix_id").mapInArrow(run, fixes.schema)

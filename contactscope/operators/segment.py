@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from contactscope.functions.arrays import Walk, stretches
 from contactscope.functions.codes import period_bin
 from contactscope.functions.geo import distance
 from contactscope.schema import US
@@ -48,30 +49,20 @@ def segment_fixes(fixes: DataFrame, rule: str = "gap", max_gap_m: float = 200.0,
 
 
 def _scanned(fixes: DataFrame, rule: str, max_m: float, max_s: float, metric: str) -> DataFrame:
-    """The two rules whose state depends on where the segment began: rows stream through sorted by track and time."""
+    """The two rules whose state depends on where the segment began: Arrow batches sorted by track and time, a stretch of a track at a time."""
     schema = T.StructType([*fixes.schema.fields, T.StructField("seg_no", T.IntegerType())])
-    limit_us = round(max_s * US)
-
-    def far(x: np.ndarray, y: np.ndarray, px: float, py: float) -> bool:
-        if metric == "planar":
-            return bool((np.sqrt((x - px) * (x - px) + (y - py) * (y - py)) > max_m).any())
-        a = np.sin(np.radians(py - y) / 2) ** 2 + np.cos(np.radians(y)) * np.cos(np.radians(py)) * np.sin(np.radians(px - x) / 2) ** 2
-        return bool((2 * 6_371_008.8 * np.arcsin(np.sqrt(np.minimum(a, 1))) > max_m).any())
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        track, number, t0, xs, ys = None, 0, 0, [], []
+        walk, track = Walk(rule, max_m, round(max_s * US), metric), None
         for b in batches:
-            numbers = []
-            for k, t, x, y in zip(*(b.column(c).to_pylist() for c in ("track_id", "t_us", "x", "y")), strict=True):
-                if k != track:
-                    track, number, t0, xs, ys = k, 0, t, [x], [y]
-                elif t - t0 > limit_us or far(np.array(xs if rule == "diameter" else xs[:1]), np.array(ys if rule == "diameter" else ys[:1]), x, y):
-                    number, t0, xs, ys = number + 1, t, [x], [y]
-                elif rule == "diameter":
-                    xs.append(x)
-                    ys.append(y)
-                numbers.append(number)
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(numbers, pa.int32())], [*b.schema.names, "seg_no"])
+            ids, t, x, y = (b.column(c).to_numpy(zero_copy_only=False) for c in ("track_id", "t_us", "x", "y"))
+            numbers = [np.zeros(0, np.int32)]
+            for s, e in stretches(ids):
+                if ids[s] != track:
+                    track = ids[s]
+                    walk.restart()
+                numbers.append(walk.feed(t[s:e], x[s:e], y[s:e]))
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(np.concatenate(numbers), pa.int32())], [*b.schema.names, "seg_no"])
 
     return fixes.repartition("track_id").sortWithinPartitions("track_id", "t_us", "fix_id").mapInArrow(run, schema)
 

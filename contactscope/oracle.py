@@ -88,6 +88,14 @@ SELECT track_id, count(*) AS n, CAST(sum(fix_id) AS BIGINT) AS ids FROM (
          sqrt(power(x - lead(x) OVER w, 2) + power(y - lead(y) OVER w, 2)) AS d2, (lead(t_us) OVER w - t_us) / 1e6 AS t2
   FROM venue WINDOW w AS (PARTITION BY track_id ORDER BY t_us, fix_id)
 ) WHERE NOT (coalesce(d1 > 50e0 * t1, false) AND coalesce(d2 > 50e0 * t2, false)) GROUP BY track_id"""
+O["clean_sequential"] = with_(VENUE_USER, """
+ranked AS (SELECT *, row_number() OVER (PARTITION BY track_id ORDER BY t_us, fix_id) AS r FROM fixu),
+walk AS (
+  SELECT track_id, r, fix_id, t_us AS kt, x AS kx, y AS ky, true AS kept FROM ranked WHERE r = 1
+  UNION ALL
+  SELECT track_id, r, fix_id, CASE WHEN ok THEN t_us ELSE kt END, CASE WHEN ok THEN x ELSE kx END, CASE WHEN ok THEN y ELSE ky END, ok
+  FROM (SELECT n.*, w.kt, w.kx, w.ky, sqrt((n.x - w.kx) * (n.x - w.kx) + (n.y - w.ky) * (n.y - w.ky)) <= 50e0 * (n.t_us - w.kt) / 1e6 AS ok FROM walk w JOIN ranked n ON n.track_id = w.track_id AND n.r = w.r + 1)
+)""") + "SELECT track_id, count(*) AS n, CAST(sum(fix_id) AS BIGINT) AS ids FROM walk WHERE kept GROUP BY track_id"
 O["clean_repeats"] = with_(VENUE_USER) + "SELECT track_id, count(*) AS n, CAST(sum(fix_id) AS BIGINT) AS ids FROM (SELECT track_id, t_us, min(fix_id) AS fix_id FROM fixu GROUP BY track_id, t_us) GROUP BY track_id"
 
 _SEGCOLS = "SELECT track_id, seg_no, CAST(n AS INTEGER) AS n, st_us, et_us, x0, x1, y0, y1 FROM box"
@@ -142,7 +150,7 @@ O["segment_weight"] = with_(VENUE, segmented("venue", "caseseg", where="owner_id
 O["segment_rate"] = with_(*F1) + "SELECT case_id, seg_no, track_id, round(weight, 6) AS weight, round(seg_rate, 6) AS seg_rate FROM srate"
 O["track_rate"] = with_(*F1) + "SELECT case_id, track_id, round(rate, 6) AS rate FROM rate"
 O["track_rate_user"] = with_(*FU) + "SELECT case_id, track_id, round(rate, 6) AS rate FROM rate"
-O["op_brute_force"] = with_(VENUE, segmented("venue", "caseseg", where="owner_id % 10 = 0 AND track_id % 100000 < 3"), weights(), "few AS (SELECT * FROM venue WHERE track_id % 100000 < 4)", near("few"), rate_parts()) + "SELECT case_id, track_id, round(rate, 6) AS rate FROM rate"
+O["op_brute_force"] = with_(VECTOR, segmented("vector", "caseseg"), weights(), near("vector", 50, 30), rate_parts(0.5, 50, 30)) + "SELECT case_id, track_id, round(rate, 6) AS rate FROM rate"
 
 _MEET = "c.x0 - 50 <= s.x1 AND s.x0 <= c.x1 + 50 AND c.y0 - 50 <= s.y1 AND s.y0 <= c.y1 + 50 AND c.st_us - 120000000 <= s.et_us AND s.st_us <= c.et_us + 120000000"
 _GAP = "sqrt(power(greatest(0e0, c.x0 - s.x1, s.x0 - c.x1), 2) + power(greatest(0e0, c.y0 - s.y1, s.y0 - c.y1), 2)) <= 50e0"
@@ -169,6 +177,10 @@ marked AS (
 )"""
 
 
+O["prune_running_weight"] = with_(*F1, AUDIT.replace("ORDER BY seg_no", "ORDER BY weight DESC, seg_no")) + """
+SELECT DISTINCT case_id, track_id FROM marked WHERE irp - (0.5 - done - rest) < -1e-9"""
+
+
 def audit(theta: float) -> str:
     return f"""SELECT case_id, track_id, sum(irp) AS rate, sum(weight) < {theta} - 1e-9 AS by_weight, bool_or(irp - ({theta} - 1 + weight) < -1e-9) AS by_single,
   bool_or(irp - ({theta} - (met - weight)) < -1e-9) AS by_hit, bool_or(irp - ({theta} - done - rest) < -1e-9) AS by_running FROM marked GROUP BY case_id, track_id"""
@@ -187,7 +199,34 @@ O["measure_pruned_thetas"] = with_(*F1, AUDIT) + " UNION ALL ".join(f"SELECT {t}
 _ANSWER = "SELECT case_id, track_id, round(rate, 6) AS rate FROM rate WHERE rate > {}"
 for _k in ("query_pruned", "query_unpruned", "query_waves", "query_fold", "join_pruned", "join_unpruned", "join_no_leaves", "join_limited_leaves"):
     O[_k] = with_(*F1) + _ANSWER.format(0.5)
-O["query_low_theta"] = with_(*F1) + _ANSWER.format(0.05) + " AND case_id // 100000 = 10"
+O["query_low_theta"] = with_(*F1) + _ANSWER.format(0.05)
+MOST = "(SELECT track_id FROM {} WHERE owner_id % 10 = 0 GROUP BY track_id ORDER BY count(*) DESC, track_id LIMIT 1)"
+O["query_one_track"] = O["query_one_track_unpruned"] = with_(*F1) + _ANSWER.format(0.02) + f" AND case_id = {MOST.format('venue')}"
+O["query_one_user"] = with_(*FU) + _ANSWER.format(0.005) + f" AND case_id = {MOST.format('fixu')}"
+GEO = VENUE + ", geo AS (SELECT track_id, fix_id, t_us, 116e0 + x / 80000e0 AS x, 39e0 + y / 111000e0 AS y, owner_id FROM venue)"
+
+
+def sphere(ax: str, ay: str, bx: str, by: str) -> str:
+    """Great-circle metres."""
+    return (
+        f"(2 * 6371008.8e0 * asin(sqrt(least(1e0, power(sin((radians({by}) - radians({ay})) / 2), 2)"
+        f" + cos(radians({ay})) * cos(radians({by})) * power(sin(radians({bx} - {ax}) / 2), 2)))))"
+    )
+
+
+_GEO_SEGMENTS = f"""caseseg AS (
+  SELECT *, CAST(sum(CASE WHEN {sphere("px", "py", "x", "y")} > 200e0 OR t_us - pt > 1800000000 THEN 1 ELSE 0 END) OVER (PARTITION BY track_id ORDER BY t_us, fix_id ROWS UNBOUNDED PRECEDING) AS INTEGER) AS seg_no
+  FROM (SELECT *, lag(x) OVER w AS px, lag(y) OVER w AS py, lag(t_us) OVER w AS pt FROM geo WHERE owner_id % 10 = 0 WINDOW w AS (PARTITION BY track_id ORDER BY t_us, fix_id))
+)"""
+_GEO_NEAR = f"""near AS (
+  SELECT * FROM (
+    SELECT c.track_id AS case_id, c.seg_no, c.fix_id AS case_fix, f.track_id, {sphere("c.x", "c.y", "f.x", "f.y")} AS d, abs(c.t_us - f.t_us) / 1e6 AS dt
+    FROM caseseg c JOIN geo f ON f.t_us BETWEEN c.t_us - 120000000 AND c.t_us + 120000000 AND f.track_id <> c.track_id
+  ) WHERE d <= 50e0
+)"""
+FG = [GEO, _GEO_SEGMENTS, weights(), _GEO_NEAR, rate_parts()]
+O["query_degrees"] = O["query_degrees_fold"] = O["join_degrees"] = with_(*FG) + _ANSWER.format(0.3)
+O["query_degrees_one_track"] = with_(*FG) + _ANSWER.format(0.02) + f" AND case_id = {MOST.format('geo')}"
 O["incubation_window"] = with_(VENUE_USER, "recent AS (SELECT * FROM (SELECT *, max(t_us) OVER (PARTITION BY track_id) AS last_us FROM fixu WHERE owner_id % 10 = 0) WHERE t_us > last_us - 1209600000000)", segmented("recent", "caseseg"), weights(), near("fixu"), rate_parts()) + _ANSWER.format(0.02)
 O["topk_contacts"] = with_(*F1) + "SELECT * FROM (SELECT case_id, track_id, round(rate, 6) AS rate, CAST(row_number() OVER (PARTITION BY case_id ORDER BY round(rate, 9) DESC, track_id) AS INTEGER) AS place FROM rate) WHERE place <= 2"
 O["default_run"] = with_(*F2) + _ANSWER.format(0.5)
@@ -252,7 +291,7 @@ O["measure_leaf_load"] = with_(*CASES, cell(1), ISLANDS, LEAVES) + "SELECT n, co
 _DAY0 = 19723 * 86_400_000_000
 O["store_range_query"] = with_(VENUE, *STORE) + f"SELECT track_id, seg_no, CAST(floor(st_us / 86400000000e0) AS BIGINT) AS bin, CAST(n AS INTEGER) AS n FROM store WHERE x0 <= 1100 AND x1 >= 400 AND y0 <= 1600 AND y1 >= 900 AND st_us <= {_DAY0 + 5 * 86_400_000_000} AND et_us >= {_DAY0 + 2 * 86_400_000_000}"
 O["store_window_query"] = with_(*CASES, *STORE) + f"SELECT concat_ws(':', c.track_id, c.seg_no) AS window_id, s.track_id, s.seg_no FROM casebox c JOIN store s ON {_MEET}"
-O["store_by_track"] = with_(VENUE, *STORE) + "SELECT track_id, seg_no, CAST(n AS INTEGER) AS n FROM store WHERE track_id // 100000 = 10"
+O["store_by_track"] = with_(VENUE, *STORE) + "SELECT track_id, seg_no, CAST(n AS INTEGER) AS n FROM store WHERE track_id // 100000 % 10 = 0"
 O["op_scan_ranges"] = """
 WITH RECURSIVE win AS (SELECT 1324e0 / 4096 AS x0, 1324e0 / 4096 AS y0, 2324e0 / 4096 AS x1, 1924e0 / 4096 AS y1),
 visit AS (
@@ -301,6 +340,7 @@ O["sweep_time"] = sweep("theta_t", [60.0, 120.0, 300.0, 600.0])
 O["sweep_query_size"] = with_(*F2, LABELS) + " UNION ALL ".join(quality("(SELECT * FROM rate WHERE rate > 0.5e0)", f"(SELECT * FROM truth WHERE (abs(case_id) % 10) * 10 < {v})", f"'query_size' AS param, {v}e0 AS value, ") for v in (20, 40, 60, 80, 100))
 O["sweep_pivot"] = with_(*F2, LABELS, f"runs AS ({_THETA_SWEEP})") + "SELECT m AS measure, max(CASE WHEN value = 0.1 THEN v END) AS t1, max(CASE WHEN value = 0.5 THEN v END) AS t5, max(CASE WHEN value = 0.9 THEN v END) AS t9 FROM (SELECT value, 'accuracy' AS m, accuracy AS v FROM runs UNION ALL SELECT value, 'recall', recall FROM runs) GROUP BY m"
 O["calibrate_grid"] = grid([(f"{a}e0 AS lam, {d}e0 AS theta_d, 120e0 AS theta_t, {t}e0 AS theta, round(count(DISTINCT CASE WHEN a.track_id = l.true_track_id THEN case_id END) / (SELECT count(*) FROM truth), 6) AS true_hit, ", a, d, 120.0, t) for a in (0.25, 0.75) for d in (50.0, 100.0) for t in (0.3, 0.5)])
+O["calibrate_choice"] = f"SELECT * FROM ({O['calibrate_grid']}) ORDER BY accuracy * recall DESC, lam, theta_d, theta_t, theta LIMIT 1"
 _Q = with_(*F2, LABELS, "ans AS (SELECT * FROM rate JOIN truth USING (case_id) WHERE rate > 0.5e0)")
 O["measure_accuracy"] = _Q + "SELECT count(*) AS pairs, round(count_if(track_id = true_track_id) / count(*), 6) AS accuracy FROM ans"
 O["measure_recall"] = _Q + "SELECT (SELECT count(*) FROM truth) AS queries, round(count(DISTINCT case_id) / (SELECT count(*) FROM truth), 6) AS recall FROM ans"
@@ -324,8 +364,7 @@ O["risk_grouping_sets"] = with_(*F1, OWNED) + "SELECT r_name, day, count(*) AS p
 
 O["op_filter_window"] = with_(VENUE) + "SELECT track_id, fix_id, x FROM venue WHERE x BETWEEN 400 AND 1100 AND owner_id IN (1, 2, 3, 5, 8)"
 _CONTACT = "SELECT case_id, track_id, count(*) AS n FROM near GROUP BY case_id, track_id"
-O["op_broadcast_contact"] = with_(VENUE, segmented("venue", "caseseg", where="owner_id = 10"), near("venue")) + _CONTACT
-O["op_merge_contact"] = O["op_salted_contact"] = with_(VENUE, segmented("venue", "caseseg", where="owner_id % 10 = 0"), near("venue")) + _CONTACT
+O["op_broadcast_contact"] = O["op_merge_contact"] = O["op_salted_contact"] = with_(VENUE, segmented("venue", "caseseg", where="owner_id % 10 = 0"), near("venue")) + _CONTACT
 O["op_interval_join"] = "SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.event_id < b.event_id AND a.event_type = b.event_type AND abs(epoch_us(a.ts) - epoch_us(b.ts)) <= 120000000"
 O["op_asof_fix"] = """
 SELECT p.event_id, (SELECT max_by(c.event_id, (epoch_us(c.ts), c.event_id)) FROM events c WHERE c.event_type = 'click' AND c.user_id = p.user_id AND (c.ts < p.ts OR c.ts = p.ts AND c.event_id < p.event_id)) AS click_id
@@ -337,14 +376,14 @@ O["op_intersect"] = with_(*F1) + "SELECT case_id, track_id FROM rate WHERE rate
 O["op_except"] = with_(*F1) + "SELECT case_id, track_id FROM rate WHERE rate > 0.1 AND NOT rate < 0.4"
 O["op_exists_contact"] = with_(*F1) + "SELECT c_custkey, c_name FROM customer WHERE c_custkey IN (SELECT track_id // 100000 FROM rate WHERE rate > (SELECT avg(rate) FROM rate))"
 O["op_top_pairs"] = with_(*F1) + "SELECT case_id, track_id, round(rate, 6) AS rate FROM rate ORDER BY round(rate, 6) DESC, case_id, track_id LIMIT 20"
-O["downsample"] = with_(VENUE) + "SELECT -track_id - 1 AS track_id, track_id AS true_track_id, count(*) AS n, CAST(sum(fix_id) AS BIGINT) AS ids FROM (SELECT *, row_number() OVER (PARTITION BY track_id ORDER BY t_us, fix_id) - 1 AS r FROM venue WHERE owner_id % 10 = 0) WHERE r % 5 = 0 GROUP BY track_id"
-O["scale_copies"] = with_(VENUE) + "SELECT track_id + j * 1000000000 AS track_id, count(*) AS n, CAST(sum(fix_id) AS BIGINT) AS ids, min(t_us) + j * 20000000 AS first_us, max(t_us) + j * 20000000 AS last_us, round(sum(x + 7 * j), 6) AS sx, round(sum(y - 5 * j), 6) AS sy FROM venue, range(3) r(j) WHERE owner_id % 10 = 0 GROUP BY track_id, j"
+O["downsample"] = with_(VENUE) + "SELECT -track_id - 1 AS track_id, track_id AS true_track_id, count(*) AS n, CAST(sum(fix_id) AS BIGINT) AS ids FROM (SELECT *, row_number() OVER (PARTITION BY track_id ORDER BY t_us, fix_id) - 1 AS r FROM venue) WHERE r % 5 = 0 GROUP BY track_id"
+O["scale_copies"] = with_(VENUE) + "SELECT track_id + j * 1000000000 AS track_id, count(*) AS n, CAST(sum(fix_id) AS BIGINT) AS ids, min(t_us) + j * 20000000 AS first_us, max(t_us) + j * 20000000 AS last_us, round(sum(x + 7 * j), 6) AS sx, round(sum(y - 5 * j), 6) AS sy FROM venue, range(3) r(j) GROUP BY track_id, j"
 O["query_fraction"] = with_(VENUE, LABELLED) + "SELECT track_id, count(*) AS n FROM labelled WHERE (abs(track_id) % 10) * 10 < 40 GROUP BY track_id"
 
 LISTS = VECTOR + """, lists AS (
-  SELECT track_id, list(x ORDER BY t_us, fix_id) AS xs, list(y ORDER BY t_us, fix_id) AS ys FROM (SELECT *, row_number() OVER (PARTITION BY track_id ORDER BY t_us, fix_id) AS r FROM vector) WHERE r <= 16 GROUP BY track_id
+  SELECT track_id, list(x ORDER BY t_us, fix_id) AS xs, list(y ORDER BY t_us, fix_id) AS ys FROM vector GROUP BY track_id
 ), duo AS (SELECT a.track_id AS a, b.track_id AS b, a.xs AS ax, a.ys AS ay, b.xs AS bx, b.ys AS by_, len(a.xs) AS n, len(b.xs) AS m FROM lists a JOIN lists b ON a.track_id < b.track_id)"""
-O["cmp_euclid"] = with_(LISTS) + "SELECT a, b, round(list_sum([sqrt(power(ax[i] - bx[i], 2) + power(ay[i] - by_[i], 2)) FOR i IN range(1, n + 1)]) / n, 6) AS value FROM duo"
+O["cmp_euclid"] = with_(LISTS) + "SELECT a, b, round(list_sum([sqrt(power(ax[i] - bx[i], 2) + power(ay[i] - by_[i], 2)) FOR i IN range(1, least(n, m) + 1)]) / least(n, m), 6) AS value FROM duo"
 
 
 def diagonals(combine: str) -> str:
@@ -372,7 +411,7 @@ SELECT a, b, round(0.5e0 * sum(exp(-(d / 50e0))) / any_value(n) + 0.5e0 * sum(ex
 ) JOIN (SELECT track_id AS a, count(*) AS n FROM {cases} GROUP BY 1) USING (a) GROUP BY a, b"""
 
 
-O["cmp_linear_mix"] = with_(VENUE, "own AS (SELECT * FROM venue WHERE owner_id = 10)") + mix("own", "venue")
+O["cmp_linear_mix"] = with_(VENUE, "own AS (SELECT * FROM venue WHERE owner_id % 10 = 0)") + mix("own", "venue")
 _SPAN = f"t_us BETWEEN {_DAY0 + 3 * 86_400_000_000} AND {_DAY0 + 6 * 86_400_000_000}"
 O["cmp_windowed"] = with_(VENUE, f"part AS (SELECT * FROM venue WHERE {_SPAN})", "own AS (SELECT * FROM part WHERE owner_id % 10 = 0)") + mix("own", "part")
 O["cmp_unsegmented"] = with_(VENUE, "caseseg AS (SELECT *, 0 AS seg_no FROM venue WHERE owner_id % 10 = 0)", weights(), near("venue"), rate_parts()) + "SELECT case_id, track_id, round(rate, 6) AS rate FROM rate"
@@ -384,13 +423,16 @@ O["companions"] = with_(VENUE, COMPANIONS) + "SELECT * FROM runs"
 O["companion_groups"] = with_(VENUE, COMPANIONS, "link AS (SELECT a, b FROM runs UNION SELECT b, a FROM runs), reach AS (SELECT a AS track_id, a AS seen FROM link UNION SELECT r.track_id, l.b FROM reach r JOIN link l ON r.seen = l.a)") + "SELECT track_id, min(seen) AS group_id FROM reach GROUP BY track_id"
 
 O["udf_xz_code"] = with_(VENUE, segmented("venue", period=DAY_BREAK, where="owner_id % 10 = 0"), rolled("seg", "box"), _XZ) + "SELECT track_id, seg_no, max(code) AS xz FROM descent GROUP BY track_id, seg_no"
+O["fn_row_key"] = with_(VENUE, segmented("venue", period=DAY_BREAK, where="owner_id % 10 = 0"), rolled("seg", "box"), _XZ) + """
+SELECT track_id, seg_no, bin, xz, seg_id, printf('%016X', bin * 1099511627776 + xz) || '-' || seg_id AS code_part, true AS shard_in_range
+FROM (SELECT track_id, seg_no, CAST(floor(any_value(st_us) / 86400000000e0) AS BIGINT) AS bin, max(code) AS xz, track_id || ':' || seg_no AS seg_id FROM descent GROUP BY track_id, seg_no)"""
 O["udf_track_rate"] = O["track_rate"]
 O["sql_functions"] = with_(VENUE) + """
 SELECT CAST(floor(t_us / 86400000000e0) AS BIGINT) AS bin, CAST(list_sum([(((ix >> b) & 1) + 2 * ((iy >> b) & 1)) * CAST(power(4, b) AS BIGINT) FOR b IN range(3)]) AS BIGINT) AS cell, count(*) AS n, round(sum(0.5e0 * exp(-((x - floor(x)) / 50e0)) + 0.5e0), 6) AS cor
 FROM (SELECT *, CAST(floor((x + 1024) / 512) AS BIGINT) AS ix, CAST(floor((y + 1024) / 512) AS BIGINT) AS iy FROM venue) GROUP BY 1, 2"""
 _W = "SELECT track_id, (t_us // 3600000000) * 3600000000 AS start_us, count(*) AS fixes FROM venue GROUP BY 1, 2"
 O["stream_windows"] = with_(VENUE) + _W
-O["stream_sliding"] = with_(VENUE) + "SELECT track_id, start_us, count(*) AS fixes FROM (SELECT track_id, (t_us // 1800000000 - j) * 1800000000 AS start_us FROM venue, range(2) r(j) WHERE owner_id < 20) GROUP BY 1, 2"
+O["stream_sliding"] = with_(VENUE) + "SELECT track_id, start_us, count(*) AS fixes FROM (SELECT track_id, (t_us // 1800000000 - j) * 1800000000 AS start_us FROM venue, range(2) r(j)) GROUP BY 1, 2"
 O["stream_sessions"] = with_(VENUE) + """
 SELECT track_id, min(t_us) AS start_us, count(*) AS fixes FROM (
   SELECT *, sum(CASE WHEN t_us - pt >= 1800000000 THEN 1 ELSE 0 END) OVER (PARTITION BY track_id ORDER BY t_us, fix_id ROWS UNBOUNDED PRECEDING) AS s
@@ -399,6 +441,13 @@ O["stream_distinct"] = with_(VENUE) + "SELECT DISTINCT track_id, fix_id FROM ven
 O["stream_contacts"] = O["op_merge_contact"]
 O["stream_live_contacts"] = O["op_broadcast_contact"]
 O["stream_segments"] = O["segment_gap"]
+O["stream_late"] = with_(VENUE, """
+dealt AS (
+  SELECT v.track_id, v.t_us, least(2, CAST(ceil(day(e.ts) / 11e0) AS INTEGER) - 1 + CASE WHEN e.event_id // 20 % 7 = 0 THEN 1 ELSE 0 END) AS part FROM venue v JOIN events e ON e.event_id = v.fix_id // 64
+), newest AS (SELECT p.part, max(d.t_us) AS t_us FROM (SELECT DISTINCT part FROM dealt) p JOIN dealt d ON d.part < p.part GROUP BY p.part)""") + """
+SELECT track_id, count_if(NOT late) AS fixes, count_if(late) AS late FROM (
+  SELECT d.track_id, coalesce(d.t_us < n.t_us - 3600000000, false) AS late FROM dealt d LEFT JOIN newest n USING (part)
+) GROUP BY track_id"""
 
 
 def oracle_sql() -> dict[str, str]:

@@ -10,6 +10,7 @@ from contactscope.operators.leafindex import build_leaves, leaf_fetch, placed
 from contactscope.plans.query import direct_rates, prepare_cases, rate_grid
 from contactscope.schema import Extent, Params
 from contactscope.sources.tracks import query_fraction, scale_copies
+from contactscope.workspace import stored
 
 
 def labels_of(cases: DataFrame) -> DataFrame:
@@ -43,8 +44,8 @@ def sweep(cases: DataFrame, fixes: DataFrame, param: str, values: list[float], p
 
 def sweep_query_size(cases: DataFrame, fixes: DataFrame, percents: list[int], p: Params = Params()) -> DataFrame:
     """value (percent), queries, pairs, accuracy, recall for shares of the query set."""
-    answers = exposure.above(exposure.track_rate(direct_rates(cases, fixes, p)), p)
-    labels, out = labels_of(cases), None
+    answers = stored(exposure.above(exposure.track_rate(direct_rates(cases, fixes, p)), p), "answers")
+    labels, out = stored(labels_of(cases), "labels"), None
     for v in percents:
         some = query_fraction(labels, v, "case_id")
         one = quality(answers, some).withColumn("value", F.lit(float(v)))
@@ -67,7 +68,7 @@ def sweep_resolution(case_fixes: DataFrame, store: DataFrame, resolutions: list[
 
 def sweep_data_size(cases: DataFrame, fixes: DataFrame, copies: list[int], p: Params = Params()) -> DataFrame:
     """copies, fixes, tracks, pairs (answers) and answered (cases with an answer) on the data repeated with offsets."""
-    out = None
+    cases, out = stored(cases, "cases"), None
     for c in copies:
         data = scale_copies(fixes, c)
         answers = exposure.above(exposure.track_rate(direct_rates(cases, data, p)), p).agg(F.count("*").alias("pairs"), F.count_distinct("case_id").alias("answered"))
@@ -84,7 +85,13 @@ def dataset_stats(fixes: DataFrame, segmented: DataFrame) -> DataFrame:
 
 
 def calibrate(cases: DataFrame, fixes: DataFrame, grid: list[tuple[float, float, float]], thetas: list[float], p: Params = Params()) -> DataFrame:
-    """Accuracy and recall for every (lam, theta_d, theta_t) and theta, best product first by the caller's order."""
+    """Accuracy and recall for every (lam, theta_d, theta_t) and theta; `choose` picks one."""
     rates = rate_grid(cases, fixes, grid, p)
     runs = rates.select("*", F.explode(F.array(*(F.lit(float(t)) for t in thetas))).alias("theta")).where("rate > theta")
     return quality(runs, labels_of(cases), ["lam", "theta_d", "theta_t", "theta"])
+
+
+def choose(grid: DataFrame) -> DataFrame:
+    """The point of a calibrated grid (lam, theta_d, theta_t, theta, accuracy, recall) with the best product of accuracy and recall; ties go to the smallest values."""
+    score = F.round("accuracy", 6) * F.round("recall", 6)
+    return grid.orderBy(score.desc(), "lam", "theta_d", "theta_t", "theta").limit(1)

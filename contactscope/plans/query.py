@@ -10,12 +10,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from contactscope.functions.geo import pair_correlation
+from contactscope.functions.arrays import apart
+from contactscope.functions.geo import extend, pair_correlation
 from contactscope.operators import exposure, prune
 from contactscope.operators.candidates import segment_candidates
 from contactscope.operators.leafindex import leaf_candidates, placed
 from contactscope.operators.segment import build_segments, segment_fixes
-from contactscope.schema import EPS, US, Extent, Params
+from contactscope.operators.store import covering, pruned
+from contactscope.plans import direct
+from contactscope.schema import EPS, Params
 from contactscope.workspace import maybe_broadcast, stored
 
 PAIR = ["case_id", "track_id"]
@@ -59,15 +62,12 @@ def candidate_fixes(store: DataFrame, candidates: DataFrame, p: Params, few: boo
     return store_fixes(store.join(wanted, ["track_id", "seg_no"], "left_semi"))
 
 
-def relevant(store: DataFrame, cases: Cases, p: Params, most_periods: int = 2000) -> DataFrame:
-    """The periods of a stored table (column bin, days) that the cases' extended times touch, so that the scan reads only their folders. The
-    list is counted first; a case set over more periods than most_periods reads all."""
-    if "bin" not in store.columns:
+def relevant(store: DataFrame, cases: Cases, p: Params) -> DataFrame:
+    """The part of a written store that the cases' extended boxes can meet: its periods (column bin, days) and its XZ codes (column xz, of p.resolution and p.extent) become literals that
+    prune folders and row groups. What comes to the driver for it is bounded. A plain table of segments is returned whole."""
+    if "bin" not in store.columns or "xz" not in store.columns:
         return store
-    day = 86_400 * US
-    span = F.explode(F.sequence(F.floor((F.col("st_us") - p.reach_us) / day).cast("long"), F.floor((F.col("et_us") + p.reach_us) / day).cast("long")))
-    bins = cases.segments.select(span.alias("bin")).distinct().limit(most_periods + 1).collect()
-    return store if len(bins) > most_periods else store.where(F.col("bin").isin([r["bin"] for r in bins]))
+    return pruned(store, *covering(extend(cases.segments, p), p.extent, p.resolution))
 
 
 def hits_of(candidates: DataFrame, weights: DataFrame) -> DataFrame:
@@ -89,26 +89,35 @@ def rates_of(cases: Cases, store: DataFrame, candidates: DataFrame, p: Params) -
 
 
 def weighed(candidates: DataFrame, cases: Cases, p: Params, prune_pairs: bool) -> DataFrame:
-    """Candidates with weight and n of their case segment, written. Pruned: only those of pairs whose met segments weigh enough and include
-    every mandatory one; both follow from window sums over one shuffle by pair."""
+    """Candidates with weight and n of their case segment, written. Pruned: only those of pairs that may pass. Before any fix is read a segment's rate is known to be at most `most`, the
+    best correlation that its stored boxes allow, and segments not met count nothing. With these upper bounds in place of the rates the running bound in its last place,
+    sum(weight * most) >= theta, implies the other three (the weight sum, the single segment and the other segments met), so it alone is tested, together with the mandatory
+    segments; all follow from window sums over one shuffle by pair."""
     must = F.col("weight") > 1 - p.theta + EPS
     weights = cases.weights.withColumn("must", must.cast("int"))
     weights = weights.withColumn("need", F.sum("must").over(Window.partitionBy("case_id")))
-    rows = candidates.join(weights, ["case_id", "seg_no"])
+    rows = candidates.join(maybe_broadcast(weights, p.broadcast_rows), ["case_id", "seg_no"])
     if prune_pairs:
         pair = Window.partitionBy(*PAIR)
-        new = F.lag("seg_no").over(pair.orderBy("seg_no", "store_seg")).eqNullSafe(F.col("seg_no"))
-        rows = rows.withColumn("new", (~new).cast("int"))
-        met, got = F.sum(F.col("new") * F.col("weight")).over(pair), F.sum(F.col("new") * F.col("must")).over(pair)
-        rows = rows.withColumns({"met": met, "got": got}).where((F.col("met") >= p.theta - EPS) & (F.col("got") >= F.col("need")))
+        best = F.lag("seg_no").over(pair.orderBy("seg_no", F.col("most").desc(), "store_seg")).eqNullSafe(F.col("seg_no"))
+        rows = rows.withColumn("new", (~best).cast("int"))
+        top, got = F.sum(F.col("new") * F.col("weight") * F.col("most")).over(pair), F.sum(F.col("new") * F.col("must")).over(pair)
+        rows = rows.withColumns({"top": top, "got": got}).where((F.col("top") >= p.theta - EPS) & (F.col("got") >= F.col("need")))
     return stored(rows.select("case_id", "seg_no", "track_id", "store_seg", "weight", "n"), "candidates")
 
 
-def exposure_query(store: DataFrame, case_fixes: DataFrame, p: Params = Params(), prune_pairs: bool = True, strategy: str = "fused") -> DataFrame:
+def exposure_query(store: DataFrame, case_fixes: DataFrame, p: Params = Params(), prune_pairs: bool = True, strategy: str = "auto") -> DataFrame:
     """case_id, track_id, rate above theta for one case (or a few) against the store.
 
-    strategy fused: point rates of all surviving candidates in one pass, bounds inside the aggregation. waves: segments in order
-    of weight, pairs that the running bound drops are not evaluated further. fold: each pair in one Python call that stops at the first violation."""
+    strategy direct: for a case set of a checked size, whose fixes come to the driver: see plans/direct.py. fused: point rates of all surviving candidates in one pass, the last bounds
+    inside the aggregation. waves: segments in order of weight, pairs that the running bound drops are not evaluated further. fold: each pair in one Python call that stops at the
+    first violation. auto: direct where the case set is small enough, else fused."""
+    if strategy in ("auto", "direct"):
+        answer = direct.query(store, case_fixes, p, prune_pairs)
+        if answer is not None:
+            return answer
+        if strategy == "direct":
+            raise ValueError("the case set is too large for the direct strategy")
     cases = prepare_cases(case_fixes, p)
     store = relevant(store, cases, p)
     candidates = weighed(segment_candidates(cases.segments, store, p, p.broadcast_rows), cases, p, prune_pairs)
@@ -118,17 +127,17 @@ def exposure_query(store: DataFrame, case_fixes: DataFrame, p: Params = Params()
         return _waves(cases, store, candidates, p)
     if strategy == "fold":
         return _fold(cases, store, candidates, p)
-    if strategy != "fused":
-        raise ValueError("strategy is fused, waves or fold")
+    if strategy not in ("auto", "fused"):
+        raise ValueError("strategy is auto, direct, fused, waves or fold")
     return exposure.above(prune.fused(rates_of(cases, store, candidates, p), p.theta), p)
 
 
-def exposure_join(store: DataFrame, case_fixes: DataFrame, p: Params = Params(), prune_pairs: bool = True, leaf_resolution: int | None = 3, extent: Extent = Extent(), **limits) -> DataFrame:
+def exposure_join(store: DataFrame, case_fixes: DataFrame, p: Params = Params(), prune_pairs: bool = True, leaf_resolution: int | None = 3, **limits) -> DataFrame:
     """case_id, track_id, rate above theta for a set of cases: candidates are fetched once per space-time leaf and shared by its members.
     leaf_resolution None gives every segment a leaf of its own."""
     cases = prepare_cases(case_fixes, p)
     store = relevant(store, cases, p)
-    members = placed(cases.segments, leaf_resolution, extent, **limits)
+    members = placed(cases.segments, leaf_resolution, p.extent, **limits)
     candidates = weighed(leaf_candidates(members, store, p, p.broadcast_rows), cases, p, prune_pairs)
     if not prune_pairs:
         return exposure.above(exposure.track_rate(rates_of(cases, store, candidates, p)), p)
@@ -160,8 +169,6 @@ def _waves(cases: Cases, store: DataFrame, candidates: DataFrame, p: Params, mos
 def _fold(cases: Cases, store: DataFrame, candidates: DataFrame, p: Params) -> DataFrame:
     """Each pair's segments in order of time inside one call, ending at the first violated bound. Pairs are small: the fixes of
     one case and of one track's candidate segments."""
-    if p.metric != "planar":
-        raise ValueError("fold is planar")
     met = candidates.select("case_id", "seg_no", "track_id", "weight").distinct()
     own = cases.fixes.groupBy("case_id", "seg_no").agg(F.sort_array(F.collect_list(F.struct("t_us", "fix_id", "x", "y"))).alias("own"))
     other = candidates.select("case_id", "seg_no", "track_id", "store_seg").join(store.select("track_id", F.col("seg_no").alias("store_seg"), "fixes"), ["track_id", "store_seg"])
@@ -176,7 +183,7 @@ def _fold(cases: Cases, store: DataFrame, candidates: DataFrame, p: Params) -> D
         for w, a, b in zip(weights, got.column("own").to_pylist(), got.column("other").to_pylist(), strict=True):
             t, x, y = (np.array([f[c] for f in a]) for c in ("t_us", "x", "y"))
             u, v, z = (np.array([f[c] for f in b]) for c in ("t_us", "x", "y"))
-            d = np.sqrt((x[:, None] - v) ** 2 + (y[:, None] - z) ** 2)
+            d = apart(x[:, None], y[:, None], v, z, p.metric)
             dt = np.abs(t[:, None] - u) / 1e6
             cor = np.where((d <= p.theta_d) & (dt <= p.theta_t), p.lam * np.exp(-(d / p.theta_d)) + (1 - p.lam) * np.exp(-(dt / p.theta_t)), 0.0).max(axis=1)
             gain = w * cor.sum() / len(t)

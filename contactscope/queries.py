@@ -11,7 +11,7 @@ from contactscope.functions import codes, geo, udfs
 from contactscope.operators import candidates as cand
 from contactscope.operators import compare, exposure, leafindex, preprocess, prune, segment, store
 from contactscope.plans import experiments, query
-from contactscope.schema import US, Extent, Params
+from contactscope.schema import US, WORLD, Extent, Params
 from contactscope.sources import tracks
 from contactscope.sources.readers import micros, read_table
 from contactscope.streaming import live
@@ -20,6 +20,7 @@ from contactscope.workspace import new_path, stored
 P = Params()
 PU = Params(theta=0.02)
 SHIP = Params(theta_d=300.0, theta_t=86_400.0)
+PG = Params(metric="haversine", extent=WORLD, resolution=18)
 REGISTRY: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 
 
@@ -36,8 +37,15 @@ def _cases(spark, sf, p=P) -> query.Cases:
     return query.prepare_cases(tracks.case_fixes(spark, sf), p)
 
 
-def _store(spark, sf, p=P) -> DataFrame:
-    return stored(query.build_store(tracks.venue_fixes(spark, sf), p), "segments")
+_stores: dict[tuple, str] = {}
+
+
+def _store(spark, sf, p=P, fixes=tracks.venue_fixes) -> DataFrame:
+    """The segment store of a data folder, written with its codes at first use in an application and read from then on."""
+    key = (spark.sparkContext.applicationId, sf, p.rule, p.max_gap_m, p.max_gap_s, p.metric, p.extent, p.resolution, fixes.__name__)
+    if key not in _stores:
+        _stores[key] = store.write_segments(query.build_store(fixes(spark, sf), p), extent=p.extent, g=p.resolution)
+    return store.read_store(spark, _stores[key])
 
 
 def _rates(spark, sf, p=P) -> DataFrame:
@@ -75,6 +83,12 @@ def clean_outliers(spark, sf):
     return kept.groupBy("track_id").agg(F.count("*").alias("n"), F.sum("fix_id").alias("ids"))
 
 
+@registered
+def clean_sequential(spark, sf):
+    kept = preprocess.drop_outliers(tracks.venue_fixes_user(spark, sf), mode="sequential")
+    return kept.groupBy("track_id").agg(F.count("*").alias("n"), F.sum("fix_id").alias("ids"))
+
+
 @registered
 def clean_repeats(spark, sf):
     kept = preprocess.clean_fixes(tracks.venue_fixes_user(spark, sf))
@@ -177,7 +191,9 @@ def sql_functions(spark, sf):
 @registered
 def fn_row_key(spark, sf):
     s = _rolled(segment.segment_fixes(tracks.case_fixes(spark, sf), period=("day", 1)))
-    return store.coded(s).select("track_id", "seg_no", "bin", "xz", "seg_id", "key")
+    key = store.coded(s, g=12, shards=16)
+    in_range = F.conv(F.substring("key", 1, 4), 16, 10).cast("int").between(0, 15)
+    return key.select("track_id", "seg_no", "bin", "xz", "seg_id", F.expr("substring(key, 6)").alias("code_part"), in_range.alias("shard_in_range"))
 
 
 @registered
@@ -214,14 +230,15 @@ def track_rate_user(spark, sf):
 
 @registered
 def op_brute_force(spark, sf):
-    c = segment.segment_fixes(tracks.case_fixes(spark, sf).where("track_id % 100000 < 3")).withColumnRenamed("track_id", "case_id")
-    return _r(exposure.brute_force(c, tracks.venue_fixes(spark, sf).where("track_id % 100000 < 4"), P), "rate")
+    """Every fix against every other by a nested loop, on the one table that is small enough for it at every size."""
+    f = tracks.vector_fixes(spark, sf)
+    return _r(exposure.brute_force(segment.segment_fixes(f).withColumnRenamed("track_id", "case_id"), f, P.but(theta_t=30.0)), "rate")
 
 
 @registered
 def st_reject(spark, sf):
     c = _cases(spark, sf)
-    return cand.segment_candidates(c.segments, _store(spark, sf), P, P.broadcast_rows)
+    return cand.segment_candidates(c.segments, _store(spark, sf), P, P.broadcast_rows).drop("most")
 
 
 @registered
@@ -256,6 +273,11 @@ def prune_running(spark, sf):
     return prune.dropped(_rates(spark, sf), P.theta, "running")
 
 
+@registered
+def prune_running_weight(spark, sf):
+    return prune.dropped(_rates(spark, sf), P.theta, "running", "weight")
+
+
 @registered
 def prune_mandatory(spark, sf):
     rates, c = stored(_rates(spark, sf), "rates"), _cases(spark, sf)
@@ -282,11 +304,6 @@ def measure_pruned_thetas(spark, sf):
     return out
 
 
-def _one_case(spark, sf) -> DataFrame:
-    """The case with the most fixes that has contacts above the threshold is not known beforehand: a fixed choice, all tracks of user 10."""
-    return tracks.case_fixes(spark, sf).where("owner_id = 10")
-
-
 @registered
 def query_pruned(spark, sf):
     return _r(query.exposure_query(_store(spark, sf), tracks.case_fixes(spark, sf), P), "rate")
@@ -299,7 +316,54 @@ def query_unpruned(spark, sf):
 
 @registered
 def query_low_theta(spark, sf):
-    return _r(query.exposure_query(_store(spark, sf), _one_case(spark, sf), P.but(theta=0.05)), "rate")
+    return _r(query.exposure_query(_store(spark, sf), tracks.case_fixes(spark, sf), P.but(theta=0.05)), "rate")
+
+
+def _one_track(cases: DataFrame) -> DataFrame:
+    """The fixes of the case track with most of them, the smallest id of several."""
+    first = cases.groupBy("track_id").agg(F.count("*").alias("n")).orderBy(F.col("n").desc(), "track_id").first()
+    return cases.where(F.col("track_id") == (first["track_id"] if first else None))
+
+
+@registered
+def query_one_track(spark, sf):
+    return _r(query.exposure_query(_store(spark, sf), _one_track(tracks.case_fixes(spark, sf)), P.but(theta=0.02), strategy="direct"), "rate")
+
+
+@registered
+def query_one_track_unpruned(spark, sf):
+    return _r(query.exposure_query(_store(spark, sf), _one_track(tracks.case_fixes(spark, sf)), P.but(theta=0.02), prune_pairs=False, strategy="direct"), "rate")
+
+
+@registered
+def query_one_user(spark, sf):
+    """A track of all days of one user, longer than the direct strategy takes, against all users' tracks."""
+    f = tracks.venue_fixes_user(spark, sf)
+    return _r(query.exposure_query(_store(spark, sf, PU, tracks.venue_fixes_user), _one_track(f.where("owner_id % 10 = 0")), PU.but(theta=0.005)), "rate")
+
+
+def _geo_cases(spark, sf) -> DataFrame:
+    return tracks.geo_fixes(spark, sf).where("owner_id % 10 = 0")
+
+
+@registered
+def query_degrees(spark, sf):
+    return _r(query.exposure_query(_store(spark, sf, PG, tracks.geo_fixes), _geo_cases(spark, sf), PG.but(theta=0.3)), "rate")
+
+
+@registered
+def query_degrees_fold(spark, sf):
+    return _r(query.exposure_query(_store(spark, sf, PG, tracks.geo_fixes), _geo_cases(spark, sf), PG.but(theta=0.3), strategy="fold"), "rate")
+
+
+@registered
+def query_degrees_one_track(spark, sf):
+    return _r(query.exposure_query(_store(spark, sf, PG, tracks.geo_fixes), _one_track(_geo_cases(spark, sf)), PG.but(theta=0.02), strategy="direct"), "rate")
+
+
+@registered
+def join_degrees(spark, sf):
+    return _r(query.exposure_join(_store(spark, sf, PG, tracks.geo_fixes), _geo_cases(spark, sf), PG.but(theta=0.3), leaf_resolution=12), "rate")
 
 
 @registered
@@ -339,7 +403,7 @@ def incubation_window(spark, sf):
     cases = f.where("owner_id % 10 = 0")
     last = cases.groupBy("track_id").agg(F.max("t_us").alias("last_us"))
     recent = cases.join(last, "track_id").where(F.col("t_us") > F.col("last_us") - 14 * 86_400 * US).drop("last_us")
-    return _r(query.exposure_join(stored(query.build_store(f, PU), "segments"), recent, PU), "rate")
+    return _r(query.exposure_join(_store(spark, sf, PU, tracks.venue_fixes_user), recent, PU), "rate")
 
 
 @registered
@@ -369,27 +433,27 @@ def leaf_tree(spark, sf):
 
 @registered
 def leaf_candidates(spark, sf):
-    return leafindex.leaf_candidates(leafindex.placed(_cases(spark, sf).segments, 1), _store(spark, sf), P, P.broadcast_rows)
+    return leafindex.leaf_candidates(leafindex.placed(_cases(spark, sf).segments, 1), _store(spark, sf), P, P.broadcast_rows).drop("most")
 
 
 @registered
 def store_range_query(spark, sf):
-    s = store.read_store(spark, store.write_segments(query.build_store(tracks.venue_fixes(spark, sf), P), g=10))
+    s = _store(spark, sf, P.but(resolution=10))
     day0 = 19723 * 86_400 * US
     return store.range_query(s, (400.0, 900.0, 1100.0, 1600.0), day0 + 2 * 86_400 * US, day0 + 5 * 86_400 * US, g=10).select("track_id", "seg_no", "bin", "n")
 
 
 @registered
 def store_window_query(spark, sf):
-    s = store.read_store(spark, store.write_segments(query.build_store(tracks.venue_fixes(spark, sf), P), g=10))
+    s = _store(spark, sf, P.but(resolution=10))
     w = geo.extend(_cases(spark, sf).segments, P).select(F.concat_ws(":", "case_id", "seg_no").alias("window_id"), *cand.BOX)
     return store.window_query(s, w, g=10)
 
 
 @registered
 def store_by_track(spark, sf):
-    s = store.read_store(spark, store.write_segments(query.build_store(tracks.venue_fixes(spark, sf), P), g=10))
-    return store.track_segments(s, tracks.case_fixes(spark, sf).where("owner_id = 10")).select("track_id", "seg_no", "n")
+    s = _store(spark, sf, P.but(resolution=10))
+    return store.track_segments(s, tracks.case_fixes(spark, sf)).select("track_id", "seg_no", "n")
 
 
 @registered
@@ -456,6 +520,12 @@ def calibrate_grid(spark, sf):
     return _r(out, "accuracy", "recall", "true_hit")
 
 
+@registered
+def calibrate_choice(spark, sf):
+    out = experiments.calibrate(tracks.labelled_cases(spark, sf), tracks.venue_fixes(spark, sf), [(a, d, 120.0) for a in (0.25, 0.75) for d in (50.0, 100.0)], [0.3, 0.5], P)
+    return _r(experiments.choose(out), "accuracy", "recall", "true_hit")
+
+
 @registered
 def default_run(spark, sf):
     answers = exposure.above(exposure.track_rate(query.direct_rates(tracks.labelled_cases(spark, sf), tracks.venue_fixes(spark, sf), P)), P)
@@ -583,7 +653,7 @@ def op_filter_window(spark, sf):
 
 @registered
 def op_broadcast_contact(spark, sf):
-    c = tracks.case_fixes(spark, sf).where("owner_id = 10").select(F.col("track_id").alias("case_id"), F.lit(0).alias("seg_no"), "fix_id", "t_us", "x", "y")
+    c = tracks.case_fixes(spark, sf).select(F.col("track_id").alias("case_id"), F.lit(0).alias("seg_no"), "fix_id", "t_us", "x", "y")
     return exposure.fix_pairs(c, tracks.venue_fixes(spark, sf), P, broadcast_rows=P.broadcast_rows).groupBy("case_id", "track_id").agg(F.count("*").alias("n"))
 
 
@@ -676,12 +746,12 @@ def op_approx_contacts(spark, sf):
 
 @registered
 def downsample(spark, sf):
-    return tracks.downsample(tracks.case_fixes(spark, sf), 5, 0, jitter=False).groupBy("track_id", "true_track_id").agg(F.count("*").alias("n"), F.sum("fix_id").alias("ids"))
+    return tracks.downsample(tracks.venue_fixes(spark, sf), 5, 0, jitter=False).groupBy("track_id", "true_track_id").agg(F.count("*").alias("n"), F.sum("fix_id").alias("ids"))
 
 
 @registered
 def scale_copies(spark, sf):
-    return _per_track(tracks.scale_copies(tracks.case_fixes(spark, sf), 3))
+    return _per_track(tracks.scale_copies(tracks.venue_fixes(spark, sf), 3))
 
 
 @registered
@@ -690,12 +760,13 @@ def query_fraction(spark, sf):
 
 
 def _vector_pairs(spark, sf):
-    return compare.track_pairs(compare.nested(tracks.vector_fixes(spark, sf), 16))
+    """All pairs of the ten whole tracks."""
+    return compare.track_pairs(compare.nested(tracks.vector_fixes(spark, sf)))
 
 
 @registered
 def cmp_euclid(spark, sf):
-    return _r(compare.euclid(_vector_pairs(spark, sf)), "value")
+    return _r(compare.euclid(compare.cut_to_shorter(_vector_pairs(spark, sf))), "value")
 
 
 @registered
@@ -711,7 +782,7 @@ def cmp_frechet(spark, sf):
 @registered
 def cmp_linear_mix(spark, sf):
     f = tracks.venue_fixes(spark, sf)
-    return _r(compare.linear_mix(f.where("owner_id = 10"), f, P), "value")
+    return _r(compare.linear_mix(f.where("owner_id % 10 = 0"), f, P), "value")
 
 
 @registered
@@ -736,15 +807,25 @@ def companion_groups(spark, sf):
     return compare.companion_groups(compare.companions(tracks.venue_fixes(spark, sf)), 2)
 
 
-def _live_fixes(spark, sf) -> DataFrame:
-    """The events as a stream of files, several micro-batches in order of time."""
+def _live_fixes(spark, sf, late: bool = False) -> DataFrame:
+    """The events as a stream of files, several micro-batches in order of time. late: every seventh block of twenty events comes one file later."""
     path = new_path(spark, "events")
     e = read_table(spark, sf, "events")
-    for part in range(3):
-        e.where(F.ceil((F.dayofmonth("ts") + 0.0) / 11).cast("int") - 1 == part).coalesce(1).write.mode("append").parquet(path)
+    part = F.ceil((F.dayofmonth("ts") + 0.0) / 11).cast("int") - 1
+    if late:
+        part = F.least(F.lit(2), part + F.when(F.floor(F.col("event_id") / 20) % 7 == 0, 1).otherwise(0))
+    for n in range(3):
+        e.where(part == n).coalesce(1).write.mode("append").parquet(path)
     return tracks.visits_of(live.read_stream(spark, path, e.schema))
 
 
+@registered
+def stream_late(spark, sf):
+    """Fixes in time and late ones of each track, where blocks of events arrive late."""
+    rows = live.run_with_late(_live_fixes(spark, sf, late=True), 3600)
+    return rows.groupBy("track_id").agg(F.count_if(~F.col("late")).alias("fixes"), F.count_if("late").alias("late"))
+
+
 @registered
 def stream_windows(spark, sf):
     return live.run_available(live.window_counts(_live_fixes(spark, sf), 3600, None, 3600), "complete")
@@ -752,7 +833,7 @@ def stream_windows(spark, sf):
 
 @registered
 def stream_sliding(spark, sf):
-    return live.run_available(live.window_counts(_live_fixes(spark, sf).where("owner_id < 20"), 3600, 1800, 3600), "complete")
+    return live.run_available(live.window_counts(_live_fixes(spark, sf), 3600, 1800, 3600), "complete")
 
 
 @registered
@@ -775,7 +856,7 @@ def stream_contacts(spark, sf):
 @registered
 def stream_live_contacts(spark, sf):
     fixes = _live_fixes(spark, sf)
-    found = live.run_available(live.live_contacts(fixes, fixes.where("owner_id = 10"), P, 40 * 86_400))
+    found = live.run_available(live.live_contacts(fixes, fixes.where("owner_id % 10 = 0"), P, 40 * 86_400))
     return found.groupBy("case_id", "track_id").agg(F.count("*").alias("n"))
 
 

@@ -11,11 +11,41 @@ EPS = 1e-9
 US = 1_000_000
 
 FIX = T.StructType([T.StructField("track_id", T.LongType()), T.StructField("fix_id", T.LongType()), T.StructField("t_us", T.LongType()), T.StructField("x", T.DoubleType()), T.StructField("y", T.DoubleType())])
+BOX = T.StructType([T.StructField("st_us", T.LongType()), T.StructField("et_us", T.LongType()), *(T.StructField(c, T.DoubleType()) for c in ("x0", "x1", "y0", "y1"))])
+_PLACED = T.StructType([T.StructField("t_us", T.LongType()), T.StructField("fix_id", T.LongType()), T.StructField("x", T.DoubleType()), T.StructField("y", T.DoubleType())])
+#: A stored segment with its codes; bin is the partition column.
+SEGMENT = T.StructType(
+    [
+        T.StructField("track_id", T.LongType()),
+        T.StructField("seg_no", T.IntegerType()),
+        T.StructField("n", T.IntegerType()),
+        *BOX.fields,
+        T.StructField("fixes", T.ArrayType(_PLACED)),
+        T.StructField("xz", T.LongType()),
+        T.StructField("seg_id", T.StringType()),
+        T.StructField("key", T.StringType()),
+        T.StructField("bin", T.LongType()),
+    ]
+)
+
+
+@dataclass(frozen=True)
+class Extent:
+    """Square that codes and cells divide."""
+
+    x0: float = -1024.0
+    y0: float = -1024.0
+    side: float = 4096.0
+
+
+#: The extent of longitude and latitude.
+WORLD = Extent(-180.0, -180.0, 360.0)
 
 
 @dataclass(frozen=True)
 class Params:
-    """Thresholds of the exposure measure and of segmentation. Distances in metres, times in seconds. broadcast_rows: most rows
+    """Thresholds of the exposure measure and of segmentation. Distances in metres, times in seconds. resolution and extent are those of the
+    store's XZ codes. broadcast_rows: most rows
     of a side that is broadcast after counting it. salts: parts into which every grid cell is split where some cells are hot."""
 
     lam: float = 0.5
@@ -29,6 +59,7 @@ class Params:
     inclusive: bool = False
     exclude_self: bool = True
     resolution: int = 15
+    extent: Extent = Extent()
     broadcast_rows: int = 1_000_000
     salts: int = 1
 
@@ -48,12 +79,3 @@ class Params:
 
     def but(self, **kw) -> Params:
         return replace(self, **kw)
-
-
-@dataclass(frozen=True)
-class Extent:
-    """Square that codes and cells divide."""
-
-    x0: float = -1024.0
-    y0: float = -1024.0
-    side: float = 4096.0

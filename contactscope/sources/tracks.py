@@ -35,6 +35,11 @@ def venue_fixes_user(spark: SparkSession, sf_dir: str) -> DataFrame:
     return venue_fixes(spark, sf_dir).withColumn("track_id", F.col("owner_id"))
 
 
+def geo_fixes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """venue_fixes as longitude and latitude, by a linear map to a place in the northern temperate zone."""
+    return venue_fixes(spark, sf_dir).withColumns({"x": 116.0 + F.col("x") / 80000.0, "y": 39.0 + F.col("y") / 111000.0})
+
+
 def scale_copies(fixes: DataFrame, copies: int, dx: float = 7.0, dy: float = -5.0, dt_us: int = 20_000_000) -> DataFrame:
     """Fixes repeated with offsets; copy j has track ids from j * 10^9 on. A map-side explode, no join."""
     j = F.explode(F.sequence(F.lit(0).cast("long"), F.lit(copies - 1).cast("long"))).alias("copy")

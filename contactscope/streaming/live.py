@@ -83,6 +83,26 @@ def live_segments(fixes: DataFrame, max_gap_m: float = 200.0, max_gap_s: float =
     return fixes.select("track_id", "fix_id", "t_us", "x", "y").groupBy("track_id").applyInPandasWithState(step, "track_id long, fix_id long, seg_no int", "t_us long, x double, y double, seg_no int", "append", GroupStateTimeout.NoTimeout)
 
 
+def run_with_late(fixes: DataFrame, late_s: float = 600) -> DataFrame:
+    """Run a stream of fixes over all available input; every row with `late`: whether it is more than late_s older than the newest fix of earlier micro-batches, the rows
+    that a watermark of late_s lets windows drop. Late rows are kept and can be counted. Each batch writes its own folders, so that a repeated batch replaces itself."""
+    spark = fixes.sparkSession
+    rows, newest = new_path(spark, "arrived"), new_path(spark, "newest")
+
+    def step(batch: DataFrame, number: int) -> None:
+        before = None
+        if number:
+            before = batch.sparkSession.read.schema("t_us long").parquet(f"{newest}/{number - 1}").first()["t_us"]
+        late = F.lit(False) if before is None else F.col("t_us") < before - round(late_s * US)
+        batch.withColumn("late", late).write.mode("overwrite").parquet(f"{rows}/{number}")
+        held = batch.sparkSession.read.schema("t_us long").parquet(f"{rows}/{number}")
+        held.agg(F.greatest(F.max("t_us"), F.lit(before)).alias("t_us")).coalesce(1).write.mode("overwrite").parquet(f"{newest}/{number}")
+
+    fixes.writeStream.foreachBatch(step).option("checkpointLocation", new_path(spark, "stream")).trigger(availableNow=True).start().awaitTermination()
+    schema = fixes.schema.add("late", "boolean")
+    return spark.read.schema(schema).parquet(f"{rows}/*")
+
+
 def run_available(df: DataFrame, mode: str = "append") -> DataFrame:
     """Run a streaming DataFrame over all available input; the rows it emitted, as a table in memory."""
     name = f"live_{uuid.uuid4().hex}"
