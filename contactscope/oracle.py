@@ -279,11 +279,15 @@ O["measure_candidates"] = with_(*BOXES, weights()) + """
 SELECT (SELECT count(*) FROM found) AS segment_pairs, (SELECT count(*) FROM (SELECT DISTINCT case_id, track_id FROM found)) AS pairs,
        (SELECT count(*) FROM (SELECT case_id, track_id FROM (SELECT DISTINCT case_id, seg_no, track_id FROM found) JOIN weight USING (case_id, seg_no) GROUP BY 1, 2 HAVING sum(weight) >= 0.5e0 - 1e-9)) AS kept"""
 _PART = "SELECT {p} AS pruned, (SELECT count(*) FROM {f}) AS segment_pairs, count(*) AS segments, CAST(sum(n) AS BIGINT) AS fixes FROM store WHERE (track_id, seg_no) IN (SELECT (track_id, store_seg) FROM {f})"
-O["measure_saving"] = with_(*BOXES, weights(), """
+_LAG = "greatest(0, c.st_us - s.et_us, s.st_us - c.et_us) / 1e6"
+O["measure_saving"] = with_(*BOXES, weights(), f"""
 need AS (SELECT case_id, count_if(weight > 0.5e0 + 1e-9) AS need FROM weight GROUP BY case_id),
-kept AS (
-  SELECT case_id, track_id FROM (SELECT DISTINCT case_id, seg_no, track_id FROM found) JOIN weight USING (case_id, seg_no) JOIN need USING (case_id)
-  GROUP BY case_id, track_id, need HAVING sum(weight) >= 0.5e0 - 1e-9 AND count_if(weight > 0.5e0 + 1e-9) >= need
+tops AS (
+  SELECT f.case_id, f.seg_no, f.track_id, max(0.5e0 * exp(-({_GAP.replace(" <= 50e0", "")} / 50e0)) + 0.5e0 * exp(-({_LAG} / 120e0))) AS most
+  FROM found f JOIN casebox c ON c.track_id = f.case_id AND c.seg_no = f.seg_no JOIN store s ON s.track_id = f.track_id AND s.seg_no = f.store_seg GROUP BY f.case_id, f.seg_no, f.track_id
+), kept AS (
+  SELECT case_id, track_id FROM tops JOIN weight USING (case_id, seg_no) JOIN need USING (case_id)
+  GROUP BY case_id, track_id, need HAVING sum(weight * most) >= 0.5e0 - 1e-9 AND count_if(weight > 0.5e0 + 1e-9) >= need
 ), less AS (SELECT * FROM found WHERE (case_id, track_id) IN (SELECT (case_id, track_id) FROM kept))""") + _PART.format(p="false", f="found") + " UNION ALL " + _PART.format(p="true", f="less")
 O["measure_evaluations"] = with_(VENUE, segmented("venue", "caseseg", where="owner_id % 10 = 0"), near("venue")) + "SELECT count(*) AS evaluations, count(DISTINCT (case_id, case_fix)) AS fixes FROM near"
 O["measure_leaf_load"] = with_(*CASES, cell(1), ISLANDS, LEAVES) + "SELECT n, count(*) AS leaves, max((et_us - st_us) / 1e6) AS longest_s FROM leaf GROUP BY n"
