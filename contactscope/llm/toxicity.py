@@ -11,7 +11,7 @@ reversed, so the estimator cannot overfit below zero. Training is numpy on bound
 up once per worker.
 
 Defined results: null or wordless text is scored by the bias alone; a document with several label rows is positive if any
-says toxic; null labels are no labels; with no positive at all every score is 0; repeated rows are scored one by one;
+says toxic, one with several texts is learned from with the words of all of them; null labels are no labels; with no positive at all every score is 0; repeated rows are scored one by one;
 further columns are not read.
 """
 
@@ -118,37 +118,47 @@ def train(positive: list[np.ndarray], unlabelled: list[np.ndarray], prior: float
     return Model(dict(zip(chosen[live].tolist(), w[live].tolist(), strict=True)), float(bias))
 
 
-def _picked(ids: DataFrame, n: int) -> list[int]:
-    return [r[0] for r in ids.orderBy(F.xxhash64("doc_id"), "doc_id").limit(n).collect()]
+_SPACE = 1 << 40
 
 
-def _gathered(docs: DataFrame, ids: list[int]) -> list[np.ndarray]:
-    """Features of the picked documents, one row per id."""
-    spark = docs.sparkSession
-    wanted = F.broadcast(spark.createDataFrame([(i,) for i in ids], "doc_id long"))
+def _hash():
+    return F.pmod(F.xxhash64("doc_id"), F.lit(_SPACE))
+
+
+def _below(n: int, most: int) -> int:
+    """A hash below which about 1.2 * most + 100 of n ids lie."""
+    return _SPACE if n <= most else min(_SPACE, int(_SPACE * (1.2 * most + 100) / n))
+
+
+def _gathered(docs: DataFrame, most: int) -> list[np.ndarray]:
+    """Features of the first `most` ids of docs by hash, from a little over `most` rows; a repeated id has the words of all its texts."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             made = [document_features(x.as_py()).astype("<i4").tobytes() for x in b.column("text").cast(pa.binary())]
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(made, pa.binary())], ["doc_id", "made"])
+            yield pa.RecordBatch.from_arrays([b.column("h"), b.column("doc_id"), pa.array(made, pa.binary())], ["h", "doc_id", "made"])
 
-    rows = docs.join(wanted, "doc_id", "left_semi").mapInArrow(run, "doc_id long, made binary")
-    found = {r["doc_id"]: np.frombuffer(bytes(r["made"]), "<i4").astype(np.int64) for r in rows.collect()}  # at most max_positive or max_unlabelled rows
-    return [found[i] for i in sorted(found)]
+    found: dict[tuple[int, int], np.ndarray] = {}
+    for r in docs.select(_hash().alias("h"), "doc_id", "text").mapInArrow(run, "h long, doc_id long, made binary").collect():
+        made, key = np.frombuffer(bytes(r["made"]), "<i4").astype(np.int64), (r["h"], r["doc_id"])
+        found[key] = np.union1d(found[key], made) if key in found else made
+    return [found[k] for k in sorted(found)[:most]]
 
 
 def fit(docs: DataFrame, labels: DataFrame, max_positive: int = 2000, max_unlabelled: int = 6000, prior: float | None = None) -> Model:
-    """prior: share of toxic texts among all; estimated from the labelled rows that may be learned from when None."""
+    """prior: share of toxic texts among all; estimated from the labelled rows that may be learned from when None. Samples are drawn by a bound on the
+    id's hash, from counts alone: no id is shuffled for it."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).where(F.col("doc_id").isNotNull() & ~held_out())
     marks = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("toxic").cast("int").alias("toxic")).where(F.col("doc_id").isNotNull() & F.col("toxic").isNotNull() & ~held_out()).groupBy("doc_id").agg(F.max("toxic").alias("toxic"))
+    n, share, toxic = marks.agg(F.count("*"), F.avg((F.col("toxic") == 1).cast("double")), F.count_if(F.col("toxic") == 1)).first()
     if prior is None:
-        share = marks.agg(F.avg((F.col("toxic") == 1).cast("double"))).first()[0]
         prior = min(0.5, max(0.005, share or 0.0))
-    positive = _picked(marks.where("toxic = 1").select("doc_id"), max_positive)
-    if not positive:
+    if not toxic:
         return Model({}, -40.0)
-    unlabelled = _picked(docs.select("doc_id").distinct(), max_unlabelled)
-    return train(_gathered(docs, positive), _gathered(docs, unlabelled), prior)
+    chosen = marks.where((F.col("toxic") == 1) & (_hash() < _below(toxic, max_positive))).select("doc_id")
+    positive = _gathered(docs.join(F.broadcast(chosen), "doc_id", "left_semi"), max_positive)
+    unlabelled = _gathered(docs.where(_hash() < _below(docs.count(), max_unlabelled)), max_unlabelled)
+    return train(positive, unlabelled, prior)
 
 
 def score(docs: DataFrame, model: Model, threshold: float = 0.7) -> DataFrame:

@@ -338,6 +338,16 @@ def test_toxicity_of_awkward_rows(spark):
     assert toxicity.digest(docs.limit(0), labels).count() == 0
 
 
+def test_toxicity_of_repeated_ids(spark):
+    """A document of several texts is learned from with all their words, in whatever order its rows come."""
+    rows = [(i, "nasty words" if i % 3 == 0 else "kind words", None, "s", 0) for i in range(60)] + [(i, "awful things" if i % 3 == 0 else "good things", None, "s", 0) for i in range(60)]
+    labels = spark.createDataFrame([(i, 1, 1 if i % 3 == 0 else 0) for i in range(60)], "doc_id long, quality int, toxic int")
+    made = [toxicity.fit(spark.createDataFrame(r, DOCS), labels) for r in (rows, rows[::-1])]
+    assert made[0].weights == made[1].weights and made[0].bias == made[1].bias and made[0].weights
+    few = toxicity._gathered(spark.createDataFrame(rows, DOCS), 7)
+    assert len(few) == 7 and all(len(f) > len(toxicity.document_features(b"nasty words")) for f in few)
+
+
 def test_non_negative_risk_survives_many_steps():
     r = np.random.default_rng(1)
     pos = [np.unique(np.append(r.integers(100, 1000, 20), 7)) for _ in range(40)]
@@ -386,3 +396,27 @@ def test_pipeline_stages_equal_brute_force(spark):
     assert kept == sorted(kept, reverse=True) and kept[-1] < kept[0]
     rows = corpus_pipeline.run(spark, SF).collect()
     assert {r["doc_id"] for r in rows} == {r["doc_id"] for r in docs.collect()}
+
+
+def test_pipeline_of_awkward_rows(spark, tmp_path):
+    """Nulls, empty texts, repeated rows, further columns whose names the stages use themselves, and empty tables."""
+    prose = [r["text"] for r in table(spark, SF, "documents").where("lang = 'en' and text is not null").orderBy("doc_id").limit(30).collect()]
+    texts = [*AWKWARD, *[(100 + i, t) for i, t in enumerate(prose)], (200, prose[0]), (201, prose[1] + " ")]
+    rows = [(i, t, "en" if t in prose else None, "s" if i and i % 2 else None, 0) for i, t in texts]
+    clash = {c: F.lit(1) for c in ("n_words", "hits", "items", "sha", "keep_id", "kept", "fp", "fingerprint", "component_id", "owner", "score", "lang_pred", "tokens", "queue", "part")}
+    docs = spark.createDataFrame(rows, DOCS).withColumns(clash)
+    for name, some in (("some", docs), ("none", docs.limit(0))):
+        folder = str(tmp_path / name)
+        some.write.parquet(f"{folder}/documents.parquet")
+        table(spark, SF, "benchmark").write.parquet(f"{folder}/benchmark.parquet")
+        held = table(spark, folder, "documents")
+        for _, stage in corpus_pipeline.STAGES[:-1]:
+            held = stage(spark, held, folder)
+            assert held.columns == docs.columns
+        kept = {r["doc_id"] for r in held.collect()}
+        packed = corpus_pipeline.run(spark, folder)
+        assert {r["doc_id"] for r in packed.collect()} == kept
+        if name == "some":
+            assert kept and not kept & {1, 2, 3} and not {100, 200} <= kept and not {101, 201} <= kept
+        else:
+            assert not kept
