@@ -121,6 +121,8 @@ def _owned(blocks: DataFrame, plan: Plan) -> DataFrame:
         low = owner * plan.span()
         prints = np.sort(np.concatenate([golomb_decode(x, low) for x in group.column("coded").to_pylist()]))
         again = prints[1:][prints[1:] == prints[:-1]]
+        if not len(again):
+            return pa.table({"owner": pa.array([], pa.int64()), "bitmap": pa.array([], pa.binary())})
         size = 1 << (plan.bitmap - plan.owners)
         bits = np.zeros(size, np.uint8)
         bits[((again - np.uint64(low)) >> np.uint64(plan.bits - plan.bitmap)).astype(np.int64)] = 1
@@ -129,12 +131,13 @@ def _owned(blocks: DataFrame, plan: Plan) -> DataFrame:
     return blocks.groupBy("owner").applyInArrow(run, "owner long, bitmap binary")
 
 
-def _suspects(texts: DataFrame, plan: Plan, bitmap: bytes) -> DataFrame:
-    """Texts whose bit is set, equal ones of a batch merged: their count and the row that would stay."""
-    held = texts.sparkSession.sparkContext.broadcast(bitmap)
+def _suspects(texts: DataFrame, plan: Plan, slices: dict[int, bytes]) -> DataFrame:
+    """Texts whose bit is set, equal ones of a batch merged: their count and the row that would stay. slices: the owners' answers, of owners with duplicates alone."""
+    held = texts.sparkSession.sparkContext.broadcast(slices)
+    width = plan.bitmap - plan.owners
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        bits = np.frombuffer(held.value, np.uint8)
+        answers = held.value
         for b in batches:
             ids, text = b.column("doc_id").to_pylist(), b.column("text")
             lengths = pc.fill_null(pc.utf8_length(text), 0).to_pylist()
@@ -142,7 +145,8 @@ def _suspects(texts: DataFrame, plan: Plan, bitmap: bytes) -> DataFrame:
             for doc, n, t in zip(ids, lengths, text.cast(pa.binary()).to_pylist(), strict=True):
                 norm = normalised(t)
                 at = fingerprint(norm) >> (64 - plan.bitmap)
-                if bits[at >> 3] >> (7 - (at & 7)) & 1:
+                bits, at = answers.get(at >> width), at & ((1 << width) - 1)
+                if bits is not None and bits[at >> 3] >> (7 - (at & 7)) & 1:
                     best = (-n, doc is None, doc or 0)
                     g = groups.setdefault(norm, [0, best])
                     g[0] += 1
@@ -162,10 +166,9 @@ def duplicates(docs: DataFrame, max_bitmap_bits: int = 1 << 31) -> DataFrame:
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
     plan = Plan(texts.count(), int(spark.conf.get("spark.sql.shuffle.partitions")), max_bitmap_bits)
     sent = stored(_send(texts, plan), "sent")
-    slices = {r["owner"]: bytes(r["bitmap"]) for r in _owned(sent.where("owner is not null").select("owner", "coded"), plan).collect()}  # at most max_bitmap_bits / 8 bytes in all
-    empty = bytes(1 << (plan.bitmap - plan.owners - 3))
-    bitmap = b"".join(slices.get(o, empty) for o in range(1 << plan.owners))
-    verified = _suspects(texts, plan, bitmap).groupBy("sha", "norm").agg(F.sum("n").alias("group_size"), F.min(F.struct("less", "missing", "doc_id")).alias("best"))
+    # at most max_bitmap_bits / 8 bytes in all, and only of owners that found duplicates
+    slices = {r["owner"]: bytes(r["bitmap"]) for r in _owned(sent.where("owner is not null").select("owner", "coded"), plan).toLocalIterator()}
+    verified = _suspects(texts, plan, slices).groupBy("sha", "norm").agg(F.sum("n").alias("group_size"), F.min(F.struct("less", "missing", "doc_id")).alias("best"))
     groups = verified.where("group_size > 1").select("sha", "group_size", F.col("best.doc_id").alias("keep_id"))
     rows = sent.where("owner is null").select("doc_id", "sha").join(groups, "sha", "left")
     grouped = F.col("group_size").isNotNull()
