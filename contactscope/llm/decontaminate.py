@@ -1,12 +1,11 @@
 """Benchmark decontamination: a broadcast hash set of normalised test n-grams scanned over training token windows.
 
-The benchmark's word windows become arrays of word numbers; a set of 64-bit window hashes goes to every worker. A
-document is turned into the same word numbers, windows whose words are all known are hashed with one vectorised
-multiply-add per window position, looked up in the sorted hash set, and every find is verified word for word.
+The benchmark's word windows become sorted arrays of 64-bit hashes that go to every worker, with the items' words as bytes. The words of a
+batch of documents are hashed at once, windows with one vectorised multiply-add per word; they pass a table of leading hash bits and
+a search in the sorted hashes, and every find is verified word for word.
 
-The set is broadcast in blocks of at most `max_ngrams` windows. One block is one pass over the documents; a benchmark of
-more windows takes several passes, the findings so far travelling with the rows, so nothing is dropped and what is
-broadcast stays bounded.
+The set is broadcast in blocks of at most `max_ngrams` windows (some 20 bytes each) and MAX_BYTES of text; a longer item is spread over several. One block is one pass over the documents; a
+benchmark of more takes several passes, the findings so far travelling with the rows, so nothing is dropped and what is broadcast stays bounded.
 
 Defined results: null or wordless text has no words and no hit; a null benchmark text or id is no item; repeated items
 count once by id; repeated documents are judged one by one; other columns are never read.
@@ -25,8 +24,12 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from contactscope.llm.common import stored
+from contactscope.llm.wordhash import Hasher, shingles
+
 WORD = re.compile(rb"[0-9a-z\x80-\xff]+")
-_FACTOR = 0x9E3779B97F4A7C15
+#: Most bytes of benchmark text in one broadcast block.
+MAX_BYTES = 64 << 20
 
 
 def words_of(data: bytes | None) -> list[bytes]:
@@ -34,61 +37,69 @@ def words_of(data: bytes | None) -> list[bytes]:
     return WORD.findall(data.lower()) if data else []
 
 
-def _multipliers(n: int) -> np.ndarray:
-    return np.array([pow(_FACTOR, j + 1, 1 << 64) for j in range(n)], np.uint64)
-
-
-def _hashes(ids: np.ndarray, starts: np.ndarray, n: int) -> np.ndarray:
-    out = np.zeros(len(starts), np.uint64)
-    words = ids.astype(np.uint64) + np.uint64(1)
-    for j, m in enumerate(_multipliers(n)):
-        out += words[starts + j] * m
-    return out
-
-
 class NgramSet:
-    """Windows of the benchmark items by length: word numbers, sorted window hashes and the items of every window."""
+    """Windows of the benchmark items as flat arrays: by length the sorted window hashes, where each window begins among the words, and its item; beside them the words' bytes."""
 
     def __init__(self, n: int):
-        self.n, self.size = n, 0
-        self.vocabulary: dict[bytes, int] = {}
-        self.windows: dict[int, dict[bytes, list[str]]] = {}
-        self.sorted: dict[int, np.ndarray] = {}
+        self.n, self.size, self.bytes = n, 0, 0
+        self.items: list[str] = []
+        self.words: list[bytes] = []
+        self.starts: dict[int, list[int]] = {}
+        self.owners: dict[int, list[int]] = {}
 
     def add(self, item: str, words: list[bytes]) -> None:
-        ids = np.array([self.vocabulary.setdefault(w, len(self.vocabulary)) for w in words], np.int32)
-        length = min(self.n, len(ids))
-        grams = self.windows.setdefault(length, {})
-        for at in range(len(ids) - length + 1):
-            items = grams.setdefault(ids[at : at + length].tobytes(), [])
-            if item not in items:
-                items.append(item)
-                self.size += 1
+        """The item's windows; words: the whole item or, of a long one, a stretch that overlaps the last one by n - 1 words."""
+        length = min(self.n, len(words))
+        count = len(words) - length + 1
+        self.starts.setdefault(length, []).extend(range(len(self.words), len(self.words) + count))
+        self.owners.setdefault(length, []).extend([len(self.items)] * count)
+        self.items.append(item)
+        self.words += words
+        self.size += count
+        self.bytes += sum(map(len, words)) + 8 * len(words)
 
     def seal(self) -> NgramSet:
-        for length, grams in self.windows.items():
-            rows = np.frombuffer(b"".join(grams), np.int32).reshape(-1, length)
-            self.sorted[length] = np.unique(_hashes(rows.ravel(), np.arange(len(rows)) * length, length))
+        lengths = [len(w) for w in self.words]
+        self.data = b"".join(self.words)
+        self.edges = np.concatenate(([0], np.cumsum(lengths, dtype=np.int64)))
+        hashes = next(Hasher().texts([b" ".join(self.words)])) if self.words else np.zeros(0, np.uint64)
+        self.tables = {}
+        for length, starts in self.starts.items():
+            at = np.array(starts, np.int64)
+            made = shingles(hashes, length)[at]
+            owner = np.array(self.owners[length], np.int32)
+            order = np.lexsort((owner, made))
+            # an item's repeated window once
+            order = order[np.concatenate(([True], (np.diff(made[order]) != 0) | (np.diff(owner[order]) != 0)))]
+            bits = min(24, max(12, len(at).bit_length() + 4))
+            seen = np.zeros(1 << bits, bool)
+            seen[(made >> np.uint64(64 - bits)).astype(np.int64)] = True
+            self.tables[length] = (made[order], at[order], owner[order], bits, seen)
+        del self.words, self.starts, self.owners
         return self
 
-    def find(self, words: list[bytes]) -> tuple[list[tuple[int, int]], set[str]]:
-        """Word ranges [start, end) of all verified windows, and the items they belong to."""
-        spans, items = [], set()
-        ids = np.fromiter(map(self.vocabulary.get, words, repeat(-1)), np.int32, len(words))
-        unknown = np.concatenate(([0], np.cumsum(ids < 0)))
-        for length, known in self.sorted.items():
-            if len(ids) < length:
+    def _window(self, start: int, length: int) -> list[bytes]:
+        edges = self.edges[start : start + length + 1].tolist()
+        return [self.data[s:e] for s, e in zip(edges, edges[1:])]
+
+    def find(self, text: bytes, hashes: np.ndarray) -> tuple[list[tuple[int, int]], set[str]]:
+        """Word ranges [start, end) of all verified windows of a text with these word hashes, and the items they belong to."""
+        spans, items, words = [], set(), None
+        for length, (known, starts, owners, bits, seen) in self.tables.items():
+            if len(hashes) < length:
                 continue
-            starts = np.flatnonzero(unknown[length:] == unknown[:-length])
-            if not len(starts):
+            made = shingles(hashes, length)
+            near = np.flatnonzero(seen[(made >> np.uint64(64 - bits)).astype(np.int64)])
+            if not len(near):
                 continue
-            hashed = _hashes(ids, starts, length)
-            at = np.minimum(np.searchsorted(known, hashed), len(known) - 1)
-            for s in starts[known[at] == hashed].tolist():
-                owners = self.windows[length].get(ids[s : s + length].tobytes())
-                if owners:
-                    spans.append((s, s + length))
-                    items.update(owners)
+            low, high = (np.searchsorted(known, made[near], side) for side in ("left", "right"))
+            for s, i, j in zip(near.tolist(), low.tolist(), high.tolist()):
+                for k in range(i, j):
+                    words = words_of(text) if words is None else words
+                    if words[s : s + length] == self._window(int(starts[k]), length):
+                        if not spans or spans[-1] != (s, s + length):
+                            spans.append((s, s + length))
+                        items.add(self.items[owners[k]])
         return spans, items
 
 
@@ -106,33 +117,44 @@ def _blocks(benchmark: DataFrame, n: int, max_ngrams: int) -> Iterator[NgramSet]
     block = NgramSet(n)
     for item, text in benchmark.select(F.col("item_id").cast("string"), F.col("text").cast("binary")).where("item_id is not null and text is not null").toLocalIterator():
         words = words_of(bytes(text))
-        if words:
-            block.add(item, words)
-        if block.size >= max_ngrams:
-            yield block.seal()
-            block = NgramSet(n)
+        at = 0
+        while at < max(1, len(words) - n + 1) and words:
+            # a long item is cut into stretches that share n - 1 words, so that every window is in one of them
+            block.add(item, words[at : at + max_ngrams + n - 1])
+            at += max_ngrams
+            if block.size >= max_ngrams or block.bytes >= MAX_BYTES:
+                yield block.seal()
+                block = NgramSet(n)
     yield block.seal()
 
 
-def _scan(df: DataFrame, block: NgramSet, last: bool, keep_clean: bool, share: int) -> DataFrame:
+def _free(names: list[str], wanted: tuple[str, ...]) -> list[str]:
+    """Names like the wanted ones that no column has (column names don't tell case apart)."""
+    taken = {n.lower() for n in names}
+    out = []
+    for w in wanted:
+        while w in taken:
+            w = f"_{w}"
+        out.append(w)
+    return out
+
+
+def _scan(df: DataFrame, block: NgramSet, plain: list[str], extra: list[str], first: bool, last: bool, keep_clean: bool, share: int) -> DataFrame:
     held = df.sparkSession.sparkContext.broadcast(block)
-    extra = ["n_words", "hits", "items"]
-    fields = [f for f in df.schema.fields if f.name not in extra]
-    plain = [f.name for f in fields]
-    types = [T.StructField("n_words", T.LongType()), T.StructField("hits", T.ArrayType(T.LongType())), T.StructField("items", T.ArrayType(T.StringType()))]
+    types = [T.StructField(c, t) for c, t in zip(extra, (T.LongType(), T.ArrayType(T.LongType()), T.ArrayType(T.StringType())), strict=True)]
+    fields = [df.schema[c] for c in plain]
     schema = T.StructType(fields if keep_clean and last else [*fields, *types])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        grams = held.value
+        grams, hasher = held.value, Hasher()
         for b in batches:
             counts, hits, items = [], [], []
-            before = b.schema.get_field_index("hits") >= 0
-            was = zip(b.column("hits").to_pylist(), b.column("items").to_pylist(), strict=True) if before else repeat(((), ()))
-            for text, (spans, names) in zip(b.column("text").cast(pa.binary()), was, strict=False):
-                words = words_of(text.as_py())
-                found, owners = grams.find(words) if words else ([], set())
+            was = repeat(((), ())) if first else zip(b.column(extra[1]).to_pylist(), b.column(extra[2]).to_pylist(), strict=True)
+            texts = [t or b"" for t in b.column("text").cast(pa.binary()).to_pylist()]
+            for text, hashes, (spans, names) in zip(texts, hasher.texts(texts), was, strict=False):
+                found, owners = grams.find(text, hashes)
                 old = list(zip(spans[::2], spans[1::2], strict=True))
-                counts.append(len(words))
+                counts.append(len(hashes))
                 hits.append([x for span in _merged(old + found) for x in span])
                 items.append(sorted({*names, *owners}))
             if keep_clean and last:
@@ -145,32 +167,39 @@ def _scan(df: DataFrame, block: NgramSet, last: bool, keep_clean: bool, share: i
     return df.mapInArrow(run, schema)
 
 
-def scan(docs: DataFrame, benchmark: DataFrame, n: int = 13, max_ngrams: int = 2_000_000, keep_clean: bool = False, share: int = 20) -> DataFrame:
-    """docs with n_words, hits (merged word ranges, flat: start, end, start, end ...) and items (ids, sorted). With
-    keep_clean only the rows of docs whose hit words are less than 1/share of all words, and just their own columns."""
-    from contactscope.llm.common import stored
-
-    df, held = docs, None
+def _scanned(docs: DataFrame, benchmark: DataFrame, n: int, max_ngrams: int, keep_clean: bool, share: int) -> tuple[DataFrame, list[str]]:
+    """docs with the findings in columns whose names docs doesn't have, and these names."""
+    plain = docs.columns
+    extra = _free(plain, ("n_words", "hits", "items"))
+    df, held, first = docs, None, True
     for block in _blocks(benchmark, n, max_ngrams):
         if held is not None:
-            df = stored(_scan(df, held, False, keep_clean, share), "scan")
+            df = stored(_scan(df, held, plain, extra, first, False, keep_clean, share), "scan")
+            first = False
         held = block
-    return _scan(df, held, True, keep_clean, share)
+    return _scan(df, held, plain, extra, first, True, keep_clean, share), extra
+
+
+def scan(docs: DataFrame, benchmark: DataFrame, n: int = 13, max_ngrams: int = 1_000_000) -> DataFrame:
+    """docs with n_words, hits (merged word ranges, flat: start, end, start, end ...) and items (ids, sorted); columns of docs with these names give way."""
+    found, extra = _scanned(docs, benchmark, n, max_ngrams, False, 20)
+    names = ["n_words", "hits", "items"]
+    return found.select(*(F.col(f"`{c}`") for c in docs.columns if c.lower() not in names), *(F.col(e).alias(c) for e, c in zip(extra, names, strict=True)))
 
 
-def drop_contaminated(docs: DataFrame, benchmark: DataFrame, **kw) -> DataFrame:
-    """docs without the contaminated documents; columns unchanged."""
-    return scan(docs, benchmark, keep_clean=True, **kw).select(*docs.columns)
+def drop_contaminated(docs: DataFrame, benchmark: DataFrame, n: int = 13, max_ngrams: int = 1_000_000, share: int = 20) -> DataFrame:
+    """docs without those whose hit words are at least 1/share of all words; columns unchanged, whatever their names."""
+    return _scanned(docs, benchmark, n, max_ngrams, True, share)[0]
 
 
-def cut_spans(docs: DataFrame, benchmark: DataFrame, **kw) -> DataFrame:
-    """docs whose text lost the bytes from the first to the last word of every hit range."""
-    found, names = scan(docs, benchmark, **kw), docs.columns
+def cut_spans(docs: DataFrame, benchmark: DataFrame, n: int = 13, max_ngrams: int = 1_000_000) -> DataFrame:
+    """docs whose text lost the bytes from the first to the last word of every hit range; columns unchanged, whatever their names."""
+    (found, extra), names = _scanned(docs, benchmark, n, max_ngrams, False, 20), docs.columns
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             texts = []
-            for text, hits in zip(b.column("text").cast(pa.binary()).to_pylist(), b.column("hits").to_pylist(), strict=True):
+            for text, hits in zip(b.column("text").cast(pa.binary()).to_pylist(), b.column(extra[1]).to_pylist(), strict=True):
                 if hits:
                     at = [m.span() for m in WORD.finditer(text.lower())]
                     cut = 0

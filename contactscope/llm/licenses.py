@@ -25,7 +25,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from contactscope.llm.passages import Hasher, shingles
+from contactscope.llm.wordhash import Hasher, shingles
 
 # Widely published license notices, and the words of each that no text under this license goes without.
 _MIT = (

@@ -9,7 +9,7 @@ import pytest
 import xxhash
 from pyspark.sql import functions as F
 
-from contactscope.llm import components, decontaminate, exact_dedup, licenses, passages, queries, simhash, sql
+from contactscope.llm import components, decontaminate, exact_dedup, licenses, passages, queries, simhash, sql, wordhash
 from tests.conftest import SF, same_as_sql
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long"
@@ -81,6 +81,14 @@ def test_extra_columns_with_clashing_names(spark):
     docs = docs_of(spark, [(1, "a b"), (2, "a b")]).withColumns({"n_words": F.lit(9), "hits": F.lit("x"), "items": F.lit("y"), "owner": F.lit(1), "fp": F.lit(2), "sha": F.lit("z")})
     bench = spark.createDataFrame([(1, "a b")], "item_id long, text string")
     assert {r["n_words"] for r in decontaminate.digest(docs, bench).collect()} == {2}
+    clean = docs.union(docs_of(spark, [(3, "quite clean")]).withColumns({"n_words": F.lit(7), "hits": F.lit("u"), "items": F.lit("v"), "owner": F.lit(1), "fp": F.lit(2), "sha": F.lit("z")}))
+    for most in (1, 10):
+        bench = spark.createDataFrame([(1, "a b"), (2, "c d"), (3, "b a")], "item_id long, text string")
+        assert [tuple(r) for r in decontaminate.drop_contaminated(clean, bench, max_ngrams=most).collect()] == [(3, "quite clean", None, "s", 0, 7, "u", "v", 1, 2, "z")]
+        cut = decontaminate.cut_spans(clean, bench, max_ngrams=most)
+        assert cut.columns == clean.columns and sorted((r["doc_id"], r["text"], r["hits"]) for r in cut.collect()) == [(1, "", "x"), (2, "", "x"), (3, "quite clean", "u")]
+        found = decontaminate.scan(clean, bench, max_ngrams=most).collect()
+        assert sorted((r["doc_id"], r["n_words"], r["hits"], r["items"]) for r in found) == [(1, 2, [0, 2], ["1"]), (2, 2, [0, 2], ["1"]), (3, 2, [], [])]
     assert exact_dedup.duplicates(docs).where("kept").count() == 1
     assert simhash.near_duplicates(docs).select("component_id").distinct().count() == 1
 
@@ -339,7 +347,7 @@ def test_word_hashes_follow_the_words():
     parts = ["a", "B", "é", "12", " ", "  ", "-", "\n", "_", "Zz", "東京"]
     texts = ["", " ", *("".join(r.choice(parts) for _ in range(r.randrange(40))) for _ in range(200)), "ab " * 150_000 + "x", "x" * 300_000]
     known = {}
-    for t, hashes in zip(texts, passages.Hasher().texts([t.encode() for t in texts])):
+    for t, hashes in zip(texts, wordhash.Hasher().texts([t.encode() for t in texts])):
         words = decontaminate.words_of(t.encode())
         assert len(words) == len(hashes)
         assert all(known.setdefault(w, h) == h for w, h in zip(words, hashes.tolist()))
