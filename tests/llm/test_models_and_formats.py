@@ -193,6 +193,20 @@ def test_warc_round_trip(spark, least, chunk):
     assert warc.digest(df.limit(0)).count() == 0
 
 
+@pytest.mark.parametrize("bits", [6, 27])
+def test_records_across_parts_of_a_file(spark, bits):
+    """Records that lie across the parts of a file that two tasks read, and a table of digest bits so small that all are suspects."""
+    rows = [(i, "u", f"{i % 40}" * (3000 + i)) for i in range(300)] + [(1000 + i, "u", f"{i % 40}" * (3000 + i)) for i in range(0, 300, 3)]
+    before = spark.conf.get("spark.sql.files.maxPartitionBytes")
+    chunks = warc.write_archives(spark.createDataFrame(rows, PAGES).repartition(3), 0, 64, bits)
+    try:
+        spark.conf.set("spark.sql.files.maxPartitionBytes", "4k")
+        got = warc.read_records(chunks)
+        assert sorted((tuple(r) for r in got.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to").collect()), key=str) == pages_by_force(rows)
+    finally:
+        spark.conf.set("spark.sql.files.maxPartitionBytes", before)
+
+
 def test_archive_is_a_warc_file(spark):
     rows = [(i, f"http://h/{i}", f"<p>{i}</p>" * 2000) for i in range(5)]
     chunks = warc.write_archives(spark.createDataFrame(rows, PAGES).coalesce(1), 0, 1000)
