@@ -92,11 +92,14 @@ class Rota:
 
     def positions(self, queue: int, cells: np.ndarray) -> np.ndarray:
         """Where the cells of a queue start in the output; cell number `full` is the short last one."""
-        rounds = self.round_of(queue, np.minimum(cells, max(self.full[queue] - 1, 0)))
-        before = cells.astype(np.int64).copy()
-        for other in range(len(self.full)):
-            if other != queue:
-                before += self.sent(other, rounds if other < queue else rounds - 1)
+        rounds, place = np.unique(self.round_of(queue, np.minimum(cells, max(self.full[queue] - 1, 0))), return_inverse=True)
+        # what the other queues have sent by then, once for each round, a thousand rounds at a time
+        others = np.zeros(len(rounds), np.int64)
+        for at in range(0, len(rounds), 1024):
+            r = rounds[at : at + 1024, None]
+            first = np.minimum(self.full[:queue], np.floor(r * self.rate[:queue]).astype(np.int64)).sum(axis=1)
+            others[at : at + 1024] = first + np.minimum(self.full[queue + 1 :], np.floor((r - 1) * self.rate[queue + 1 :]).astype(np.int64)).sum(axis=1)
+        before = cells.astype(np.int64) + others[place]
         return np.where(cells >= self.full[queue], self.tails[queue], before * self.cell)
 
 
@@ -111,16 +114,16 @@ def _tokens(docs: DataFrame, tokenizer: str, ranks: str | None) -> DataFrame:
         for b in batches:
             for lo in range(0, len(b), 512):
                 s = b.slice(lo, 512)
-                sources, coded, starts, sizes = s.column("source").to_pylist(), [], [], []
+                sources, coded, starts, sizes = s.column("queue").to_pylist(), [], [], []
                 for text, source in zip(s.column("text"), sources, strict=True):
                     ids = np.append(enc.ids(text.as_py() or ""), END)
                     coded.append(ids.astype("<u2" if ids.max() < 1 << 16 else "<u4").tobytes())
                     starts.append(at.get(source, 0))
                     sizes.append(len(ids))
                     at[source] = starts[-1] + len(ids)
-                yield pa.RecordBatch.from_arrays([s.column("doc_id"), s.column("source"), pa.array([part] * len(s), pa.int64()), pa.array(starts, pa.int64()), pa.array(sizes, pa.int64()), pa.array(coded, pa.binary())], ["doc_id", "source", "part", "local", "size", "ids"])
+                yield pa.RecordBatch.from_arrays([s.column("doc_id"), s.column("source"), s.column("queue"), pa.array([part] * len(s), pa.int64()), pa.array(starts, pa.int64()), pa.array(sizes, pa.int64()), pa.array(coded, pa.binary())], ["doc_id", "source", "queue", "part", "local", "size", "ids"])
 
-    return docs.mapInArrow(run, "doc_id long, source string, part long, local long, size long, ids binary")
+    return docs.mapInArrow(run, "doc_id long, source string, queue string, part long, local long, size long, ids binary")
 
 
 def _pieces(tokens: DataFrame, rota: Rota, queues: dict[str, int]) -> DataFrame:
@@ -130,7 +133,7 @@ def _pieces(tokens: DataFrame, rota: Rota, queues: dict[str, int]) -> DataFrame:
             out: list[tuple] = []
             sources = b.column("source").to_pylist()
             bases, sizes = b.column("base").to_numpy(), b.column("size").to_numpy()
-            queue_of = np.array([queues[s] for s in sources])
+            queue_of = np.array([queues[q] for q in b.column("queue").to_pylist()])
             firsts, lasts = bases // cell, (bases + sizes - 1) // cell
             where: list = [None] * len(sources)
             for q in np.unique(queue_of):
@@ -164,9 +167,10 @@ def _pieces(tokens: DataFrame, rota: Rota, queues: dict[str, int]) -> DataFrame:
     return tokens.mapInArrow(run, PIECES)
 
 
-def pack(docs: DataFrame, tokenizer: str | None = None, ranks: str | None = None, weights: dict[str, float] | None = None, length: int = LENGTH, cell: int = CELL) -> DataFrame:
+def pack(docs: DataFrame, tokenizer: str | None = None, ranks: str | None = None, weights: dict[str, float] | None = None, length: int = LENGTH, cell: int = CELL, max_queues: int = 4096) -> DataFrame:
     """One row per piece. weights: target token shares by source; None means the shares of the corpus, which let
-    all queues end together. length must be a multiple of cell."""
+    all queues end together. length must be a multiple of cell. Each source is a queue; beyond max_queues sources those without a weight of their own share as many queues by hash, so that
+    the plan of the round-robin stays bounded."""
     import public_tokenizers
 
     if length % cell:
@@ -174,19 +178,24 @@ def pack(docs: DataFrame, tokenizer: str | None = None, ranks: str | None = None
     if tokenizer is None:
         tokenizer, ranks = public_tokenizers.path("byte_bpe_50k.json"), public_tokenizers.path("byte_bpe_50k.tiktoken")
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.coalesce(F.col("source").cast("string"), F.lit("")).alias("source"))
-    tokens = stored(_tokens(rows, str(tokenizer), ranks and str(ranks)), "tokens")
-    by_part = tokens.groupBy("part", "source").agg(F.sum("size").alias("n"))
-    before = Window.partitionBy("source").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
-    bases = stored(by_part.select("part", "source", "n", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("before")), "bases")
-    totals = {r["source"]: int(r["n"]) for r in bases.groupBy("source").agg(F.sum("n").alias("n")).collect()}
+    named = F.array(*(F.lit(k) for k in weights or {})).cast("array<string>")
+    queue = F.col("source")
+    if rows.select("source").distinct().limit(max_queues + 1).count() > max_queues:
+        queue = F.when(F.array_contains(named, F.col("source")), F.col("source")).otherwise(F.concat(F.lit("\u0000"), F.pmod(F.xxhash64("source"), F.lit(max_queues)).cast("string")))
+    tokens = stored(_tokens(rows.withColumn("queue", queue), str(tokenizer), ranks and str(ranks)), "tokens")
+    by_part = tokens.groupBy("part", "queue").agg(F.sum("size").alias("n"))
+    before = Window.partitionBy("queue").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    bases = stored(by_part.select("part", "queue", "n", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("before")), "bases")
+    # at most max_queues and the named ones
+    totals = {r["queue"]: int(r["n"]) for r in bases.groupBy("queue").agg(F.sum("n").alias("n")).collect()}
     names = sorted(totals)
     shares = None
     if weights is not None:
         mean = sum(weights.values()) / max(1, len(weights))
         shares = [weights.get(s, mean) for s in names]
     rota = Rota([totals[s] for s in names], shares, length, cell)
-    offsets = bases.select("part", "source", "before")
+    offsets = bases.select("part", "queue", "before")
     if bases.count() <= 1_000_000:
         offsets = F.broadcast(offsets)
-    placed = tokens.join(offsets, ["part", "source"]).select("doc_id", "source", (F.col("before") + F.col("local")).alias("base"), "size", "ids")
+    placed = tokens.join(offsets, ["part", "queue"]).select("doc_id", "source", "queue", (F.col("before") + F.col("local")).alias("base"), "size", "ids")
     return _pieces(placed, rota, {s: i for i, s in enumerate(names)})

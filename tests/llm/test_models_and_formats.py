@@ -81,6 +81,17 @@ def test_packing_keeps_the_mixture(spark, exact_encoder, weights):
                 assert abs(served - at * shares[s] / whole) <= 512 * (len(total) + 1)
 
 
+def test_packing_of_many_sources(spark, exact_encoder):
+    """More sources than queues: those without a weight share queues, and every id still has its place."""
+    r = random.Random(4)
+    texts = [(i, " ".join(r.choice(["one", "two"]) for _ in range(r.choice([0, 5, 900]))), f"host{i}" if i % 3 else "main") for i in range(60)]
+    df = spark.createDataFrame([(i, t, None, s, 0) for i, t, s in texts], DOCS).repartition(4)
+    for weights in (None, {"main": 3.0}):
+        rows = packing.pack(df, weights=weights, max_queues=5).collect()
+        check_packing(rows, {i: [*exact_encoder.ids(t).tolist(), 1] for i, t, _ in texts})
+        assert {(r["doc_id"], r["source"]) for r in rows} == {(i, s) for i, _, s in texts}
+
+
 def test_rota_positions_are_a_permutation():
     r = random.Random(3)
     for _ in range(20):
