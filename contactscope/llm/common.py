@@ -35,10 +35,11 @@ FILE_ROWS = 500_000
 
 def stored(df: DataFrame, name: str, rows: int | None = None, per_file: int = FILE_ROWS) -> DataFrame:
     """Write df as Parquet to the shared folder and read it back: lineage is cut and lost executors cost no rework. rows: an upper bound
-    of df's rows where one is known; the table then has a file for each per_file of them, not for each shuffle partition."""
+    of df's rows where one is known; the table then has a file for each per_file of them, not for each shuffle partition: its rows are dealt
+    anew, so that the work above keeps its own tasks."""
     spark = df.sparkSession
     if rows is not None:
-        df = df.coalesce(rows // per_file + 1)
+        df = df.repartition(rows // per_file + 1)
     path = f"{work_dir(spark).rstrip('/')}/llm/{name}-{uuid.uuid4().hex}"
     df.write.option("compression", "zstd").parquet(path)
     table_ = spark.read.schema(df.schema).parquet(path)

@@ -185,18 +185,24 @@ def links(prints: DataFrame, budget: int = 4, blocks: int | None = None) -> Data
                 x = at[k : k + 100_000]
                 yield pa.RecordBatch.from_arrays([pa.array(out[x]), pa.array(out[root[x]])], ["u", "v"])
 
+        size = 0
         for b in batches:
             rows = tuple(b.column(c).to_numpy(zero_copy_only=False) for c in ("fp", "choice", "part"))
-            held.append(rows)
-            if sum(len(x[0]) for x in held) >= 100_000:
-                fp, choice, part = (np.concatenate(x) for x in zip(*held, strict=True))
-                change = np.flatnonzero((choice[1:] != choice[:-1]) | (part[1:] != part[:-1]))
-                if len(change):
-                    cut = change[-1] + 1
-                    yield from join([(fp[:cut], choice[:cut], part[:cut])])
-                    held = [(fp[cut:].copy(), choice[cut:].copy(), part[cut:].copy())]
-                else:
-                    held = [(fp, choice, part)]
+            if not len(rows[0]):
+                continue
+            _, choice, part = rows
+            change = np.flatnonzero((choice[1:] != choice[:-1]) | (part[1:] != part[:-1]))
+            new = held and (held[-1][1][-1] != choice[0] or held[-1][2][-1] != part[0])
+            cut = int(change[-1]) + 1 if len(change) else 0 if new else -1
+            # rows of one group only gather; what lies before its first row is joined once there is enough
+            if size + len(choice) >= 100_000 and cut >= 0:
+                before = [*held, tuple(x[:cut] for x in rows)] if cut else held
+                if before:
+                    yield from join(before)
+                held, size = [tuple(x[cut:].copy() for x in rows)], len(choice) - cut
+            else:
+                held.append(rows)
+                size += len(choice)
         if held and sum(len(x[0]) for x in held):
             yield from join(held)
 
