@@ -2,6 +2,10 @@
 
 Every stage's result is written as Parquet to the shared folder and read again as the documents of the next one, so a lost
 executor costs at most one stage's tasks, and each stage sees all rows its predecessor kept.
+
+Defined results: documents with null, empty or letterless text are rejected by the first stage; null lang, source or doc_id don't matter to any stage's decision, but rows with a null
+doc_id are never dropped as copies; rows that repeat a doc_id share its fate as copies; of exact copies the longest original text stays, then the smallest doc_id, of a near-duplicate group the smallest doc_id; further columns,
+whatever their names, pass through to the last stage, which reads doc_id, text and source alone; an empty table gives no rows.
 """
 
 from __future__ import annotations
