@@ -1,11 +1,15 @@
-"""What only shows on larger tables: ids of copies that meet."""
+"""What only shows on larger tables: ids of copies that meet, broadcasts that outgrow the driver."""
 
 import duckdb
 from pyspark.sql import functions as F
 
 from contactscope import oracle, queries
+from contactscope.operators import candidates, exposure
+from contactscope.plans import query
+from contactscope.schema import Params
+from contactscope.sources import tracks
 from contactscope.sources.readers import read_table
-from contactscope.workspace import new_path
+from contactscope.workspace import BROADCAST_BYTES, fits_broadcast, new_path, stored
 from tests.conftest import SF, same_as_sql
 
 
@@ -18,3 +22,25 @@ def test_copies_of_many_users_stay_apart(spark):
     df = queries.queries()["scale_copies"](spark, folder)
     assert df.select("track_id").distinct().count() < df.count()
     same_as_sql(df, con, oracle.oracle_sql()["scale_copies"])
+
+
+def _broadcasts(df):
+    return df._jdf.queryExecution().executedPlan().toString().count("BroadcastHashJoin")
+
+
+def test_exploded_sides_are_not_broadcast_by_the_size_of_their_files(spark):
+    p = Params()
+    fixes = stored(tracks.venue_fixes(spark, SF), "venue")
+    cases = query.prepare_cases(tracks.case_fixes(spark, SF), p)
+    assert _broadcasts(exposure.fix_pairs(cases.fixes, fixes, p)) == 0
+    assert _broadcasts(exposure.fix_pairs(cases.fixes, fixes, p, broadcast_rows=10)) == 0
+    assert _broadcasts(exposure.fix_pairs(cases.fixes, fixes, p, broadcast_rows=p.broadcast_rows)) == 1
+    segments = stored(query.build_store(fixes, p), "segments")
+    assert _broadcasts(candidates.segment_candidates(cases.segments, segments, p)) == 0
+    assert _broadcasts(candidates.segment_candidates(cases.segments, segments, p, 10)) == 0
+
+
+def test_broadcasts_are_bounded_in_bytes(spark):
+    wide = spark.range(1).selectExpr(*(f"id AS c{i}" for i in range(20)))
+    rows = BROADCAST_BYTES // (24 + 20 * 8)
+    assert fits_broadcast(wide, rows, 1_000_000) and not fits_broadcast(wide, rows + 1, 1_000_000) and not fits_broadcast(wide, 11, 10)
