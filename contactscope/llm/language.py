@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 
 SPAN, LEAD = 512, 24
 #: Windows of training are shorter, for more steps over the same bytes; windows of one length are labelled together, BLOCK at a time.
-TRAIN_SPAN, BLOCK, STEP = 96, 640, 32
+TRAIN_SPAN, BLOCK, STEP = 96, 256, 32
 #: Bytes of text whose windows are laid out at once.
 ROOM = 1 << 22
 PLAIN_LETTER = re.compile(rb"[A-Za-z]")
@@ -118,41 +118,53 @@ class Network:
             h = states[t] = h + z * (c - h)
         return states, tape
 
-    def _states(self, d: str, rows: np.ndarray) -> np.ndarray:
-        """States by step without a tape, by arithmetic in place."""
-        n, H = len(rows), self.h
-        W, U, C = self.p[d + "W"].copy(), -self.p[d + "U"], self.p[d + "C"]
-        W[:, : 2 * H] *= -1
-        columns = np.ascontiguousarray(rows.T).astype(np.intp)
-        out = np.empty((rows.shape[1], n, H), np.float32)
-        x, gates, held = np.empty((n, 3 * H), np.float32), np.empty((n, 2 * H), np.float32), np.empty((n, H), np.float32)
-        h = np.zeros((n, H), np.float32)
-        for t in self._steps(d, rows.shape[1]):
-            np.take(W, columns[t], axis=0, out=x, mode="clip")
+    def _states(self, rows: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """States of both directions (step, row, state) between the leads, without a tape, by arithmetic in place on whole arrays: both directions take a step
+        together, each from its own end of the row to the last place before the far lead."""
+        n, width, H = len(rows), rows.shape[1], self.h
+        split = lambda k: [self.p[d + k][:, at : at + H] for at in (0, H) for d in "fb"]
+        # update gate forwards and backwards, reset gate likewise, candidate likewise; the gates' signs are turned
+        table = np.concatenate([*(-w for w in split("W")), *(self.p[d + "W"][:, 2 * H :] for d in "fb")])
+        U = -np.stack(split("U")).reshape(2, 2, H, H)
+        C = np.stack([self.p[d + "C"] for d in "fb"])
+        ahead = np.ascontiguousarray(rows.T).astype(np.intp)
+        places = np.empty((width - LEAD, 6, n), np.intp)
+        for g in range(3):
+            np.add(ahead[: width - LEAD], 512 * g, out=places[:, 2 * g])
+            np.add(ahead[:LEAD - 1 : -1], 512 * g + 256, out=places[:, 2 * g + 1])
+        out = np.empty((width - 2 * LEAD, 2, n, H), np.float32)
+        x, gates, held, c = np.empty((6, n, H), np.float32), np.empty((2, 2, n, H), np.float32), np.empty((2, n, H), np.float32), np.empty((2, n, H), np.float32)
+        for_gates, for_state = x[:4].reshape(2, 2, n, H), x[4:]
+        h, early = np.zeros((2, n, H), np.float32), np.empty((2, n, H), np.float32)
+        for t in range(width - LEAD):
+            table.take(places[t], axis=0, out=x, mode="clip")
             np.matmul(h, U, out=gates)
-            gates += x[:, : 2 * H]
+            gates += for_gates
             np.exp(gates, gates)
             gates += 1
             np.reciprocal(gates, gates)
-            np.multiply(gates[:, H:], h, out=held)
-            c = held @ C
-            c += x[:, 2 * H :]
+            np.multiply(gates[1], h, out=held)
+            np.matmul(held, C, out=c)
+            c += for_state
             np.tanh(c, c)
             c -= h
-            c *= gates[:, :H]
-            h = np.add(h, c, out=out[t])
-        return out
+            c *= gates[0]
+            h = np.add(h, c, out=out[t - LEAD] if t >= LEAD else early)
+        return out[:, 0], out[::-1, 1]
 
     def label(self, rows: np.ndarray) -> np.ndarray:
         """Label distributions (step, row, language) of all rows between their leads."""
-        V, H = self.p["V"], self.h
-        inner = slice(LEAD, rows.shape[1] - LEAD)
-        logits = self._states("f", rows)[inner] @ V[:H]
-        logits += self._states("b", rows)[inner] @ V[H:]
-        logits += self.p["b"]
-        logits -= logits.max(axis=2, keepdims=True)
+        V, b, H = self.p["V"], self.p["b"], self.h
+        ahead, back = self._states(rows)
+        logits = ahead @ V[:H]
+        logits += back @ V[H:]
+        logits += b
+        # states lie between -1 and 1, so most networks' logits are too small to overflow
+        if np.abs(V).sum(axis=0).max() + np.abs(b).max() > 80:
+            logits -= logits.max(axis=2, keepdims=True)
         np.exp(logits, logits)
-        logits /= logits.sum(axis=2, keepdims=True)
+        few = len(b) <= 16
+        logits /= logits @ np.ones((len(b), len(b)), np.float32) if few else logits.sum(axis=2, keepdims=True)
         return logits
 
     def _windows(self, texts: list[bytes]) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:

@@ -445,3 +445,22 @@ def test_pipeline_of_awkward_rows(spark, tmp_path):
             assert kept and not kept & {1, 2, 3} and not {100, 200} <= kept and not {101, 201} <= kept
         else:
             assert not kept
+
+
+def test_language_states_without_a_tape_equal_taped_ones_between_the_leads():
+    import numpy as np
+
+    from contactscope.llm.language import LEAD, Network
+
+    net, rows = Network(["a", "b"]), np.random.default_rng(3).integers(0, 256, (7, 40 + 2 * LEAD)).astype(np.uint8)
+    ahead, back = net._states(rows)
+    inner = slice(LEAD, LEAD + 40)
+    # both directions in one pass, none over the lead that lies behind it: the states between the leads alone
+    assert ahead.shape == back.shape == (40, 7, net.h)
+    assert np.allclose(ahead, net._taped("f", rows)[0][inner], atol=1e-5) and np.allclose(back, net._taped("b", rows)[0][inner], atol=1e-5)
+    both = np.concatenate((net._taped("f", rows)[0], net._taped("b", rows)[0]), axis=2)[inner]
+    for scale in (1, 1000):  # small logits, and those whose exponentials overflow without their maximum taken off
+        net.p["V"] *= np.float32(scale)
+        logits = (both @ net.p["V"] + net.p["b"]).astype(float)
+        want = np.exp(logits - logits.max(axis=2, keepdims=True))
+        assert np.allclose(net.label(rows), want / want.sum(axis=2, keepdims=True), atol=1e-3 if scale == 1 else 0.1)
