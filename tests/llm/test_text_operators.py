@@ -452,6 +452,21 @@ def test_exact_passages_behind_strangers_are_found(spark):
     assert {(200, 100), (300, 100)} <= pairs <= {(200, 100), (300, 100), (300, 200)}
 
 
+@pytest.mark.parametrize("strangers", [8, 30])
+def test_variants_of_a_passage_behind_scraps_of_it_are_found(spark, strangers):
+    """Two variants share 80 words but for a few, and no 50 in a row; the first documents of all their keys have only scraps of them."""
+    g = np.random.default_rng(8)
+    fresh = lambda n: [f"w{v}" for v in g.integers(0, 10**9, n)]
+    same = fresh(80)
+    other = [w if i % 20 != 10 else f"v{i}" for i, w in enumerate(same)]
+    scraps = [fresh(30) + same[a : a + 30] + fresh(30) for a in range(0, 51, 10) for _ in range(strangers)]
+    scraps += [fresh(30) + other[a : a + 30] + fresh(30) for a in range(0, 51, 10) for _ in range(strangers)]
+    texts = [(i, " ".join(t)) for i, t in enumerate(scraps)]
+    texts += [(5000, " ".join(fresh(20) + same + fresh(20))), (5001, " ".join(fresh(25) + other + fresh(15)))]
+    pairs = {(r["doc_id"], r["other_id"]) for r in passages.repeated_passages(docs_of(spark, texts)).collect()}
+    assert pairs == {(5001, 5000)}
+
+
 # --- licenses
 
 
