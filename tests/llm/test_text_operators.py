@@ -467,6 +467,37 @@ def test_variants_of_a_passage_behind_scraps_of_it_are_found(spark, strangers):
     assert pairs == {(5001, 5000)}
 
 
+def test_a_common_line_makes_no_pairs_of_all_that_have_it(spark, monkeypatch):
+    """Sixty documents share a line of 20 words and nothing else but for two, which share 80 words around it, a few of them replaced."""
+    g = np.random.default_rng(12)
+    fresh = lambda n: [f"w{v}" for v in g.integers(0, 10**9, n)]
+    line = fresh(20)
+    same = fresh(30) + line + fresh(30)
+    other = [w if i % 13 != 6 or 30 <= i < 50 else f"v{i}" for i, w in enumerate(same)]
+    texts = [(i, fresh(60) + line + fresh(60)) for i in range(60)] + [(5000, fresh(20) + same + fresh(20)), (5001, fresh(25) + other + fresh(15))]
+    written, stored = {}, passages.stored
+    monkeypatch.setattr(passages, "stored", lambda df, name, *a: written.setdefault(name, stored(df, name, *a)) if name == "later" else stored(df, name, *a))
+    pairs = {(r["doc_id"], r["other_id"]) for r in passages.repeated_passages(docs_of(spark, [(i, " ".join(t)) for i, t in texts])).collect()}
+    assert pairs == {(5001, 5000)}
+    assert written["later"].count() <= 1
+
+
+def test_marks_of_the_words_around_a_key():
+    """Stretches of 50 words around a key that differ in ten places share 29 marks at least; a word's further occurrences count by themselves, wherever the key stands."""
+    g = np.random.default_rng(13)
+    for words in (10**9, 3):
+        for _ in range(50):
+            same = g.integers(0, words, 50).astype(np.uint32)
+            other, at = same.copy(), int(g.integers(0, 46))
+            other[g.choice(np.setdiff1d(np.arange(50), np.arange(at, at + 5)), 10, replace=False)] = g.integers(2 * 10**9, 3 * 10**9, 10)
+            x, y = (np.concatenate((g.integers(0, 10**9, a).astype(np.uint32), v, g.integers(0, 10**9, b).astype(np.uint32))) for a, v, b in ((60, same, 7), (3, other, 80)))
+            key = np.array([7], np.uint64)
+            mx, my = (passages.context_marks(v, key, np.array([a + at]), np.array([a + at]))[0] for v, a in ((x, 60), (y, 3)))
+            assert len(np.unique(mx)) == len(mx) <= 94 and len(np.intersect1d(mx, my)) >= 29
+            twice = passages.context_marks(np.concatenate((x, x)), key, np.array([60 + at]), np.array([60 + at + len(x)]))[0]
+            assert len(np.intersect1d(twice, my)) >= 29
+
+
 # --- licenses
 
 
